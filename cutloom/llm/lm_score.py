@@ -146,11 +146,13 @@ def score_tokens(grams: list[np.ndarray], inside: list[np.ndarray], docs: np.nda
     own_tokens = np.bincount(docs, minlength=n_docs)
     rest = []
     for gram, fits in zip(grams, inside):
-        # minus the document's own occurrences of the same n-gram
-        pairs = mix(gram + mix(docs.astype(np.uint64)))
-        _, back, own = np.unique(pairs, return_inverse=True, return_counts=True)
-        left = totals[np.searchsorted(keys, gram).clip(max=max(len(keys) - 1, 0))].astype(np.int64) - own[back] if len(keys) else np.zeros(0, np.int64)
-        rest.append(np.where(fits, left, 0))
+        # the corpus count minus the document's own occurrences of the same n-gram
+        left = np.zeros(len(gram), np.int64)
+        if fits.any():
+            real = gram[fits]
+            _, back, own = np.unique(mix(real + mix(docs[fits].astype(np.uint64))), return_inverse=True, return_counts=True)
+            left[fits] = totals[np.searchsorted(keys, real)].astype(np.int64) - own[back]
+        rest.append(left)
     score = np.maximum(rest[0], 1) / np.maximum(tokens - own_tokens[docs], 1)
     hits = {"n_unseen": rest[0] <= 0}
     level = np.zeros(len(docs), np.int64)

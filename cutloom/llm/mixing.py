@@ -34,7 +34,7 @@ LEVELS = ("domain", "lang", "source")
 def n_words(text: Column) -> Column:
     """Words between ASCII white space."""
     t = F.coalesce(text, F.lit(""))
-    return (F.size(F.split(t, SPACE_PATTERN)) - t.rlike("^" + SPACE_PATTERN).cast("int") - t.rlike(SPACE_PATTERN + r"\z").cast("int") - (t == "").cast("int") + t.rlike("^" + SPACE_PATTERN + r"\z").cast("int")).cast("long")
+    return (F.size(F.split(t, SPACE_PATTERN)) - t.rlike("^" + SPACE_PATTERN).cast("int") - t.rlike(SPACE_PATTERN + r"\z").cast("int") - (t == "").cast("int")).cast("long")
 
 
 def domain(source: Column) -> Column:

@@ -84,7 +84,7 @@ def slots(texts: pa.Array, sizes: tuple[int, ...], bits: int, salt: int) -> tupl
 class Model:
     """Weights of hashed n-grams; a text's features are n-gram counts over the root of their sum of squares per part."""
 
-    def __init__(self, sizes: tuple[int, ...] = (3, 4, 5), bits: int = 14):
+    def __init__(self, sizes: tuple[int, ...] = (2, 3, 4), bits: int = 14):
         self.sizes, self.bits = sizes, bits
         self.weights, self.intercept = np.zeros(1 << bits), 0.0
 
@@ -98,7 +98,7 @@ class Model:
             out.append((row, slot, 1 / np.sqrt(np.maximum(n, 1))[row]))
         return tuple(np.concatenate(x) for x in zip(*out))
 
-    def fit(self, hosts: list[str], paths: list[str], labels: list[int], rounds: int = 400, rate: float = 1.0, ridge: float = 1e-3) -> Model:
+    def fit(self, hosts: list[str], paths: list[str], labels: list[int], rounds: int = 400, rate: float = 10.0, ridge: float = 1e-4) -> Model:
         row, slot, value = self.features(hosts, paths)
         y = np.asarray(labels, np.float64)
         for _ in range(rounds):
