@@ -27,13 +27,16 @@ def reliable(df: DataFrame) -> DataFrame:
 class Graph:
     """An undirected simple graph: ``edges(src, dst)`` with src < dst, and ``vertices(v, label)`` if it is labelled.
 
-    Edges are persisted on first use, spilling to disk, since every level of
-    every plan joins them.
+    Edges are persisted, spilling to disk, since every level of every plan
+    joins them.  They are counted at once: then the planner knows their size
+    and broadcasts them where that is below the session's threshold, and
+    shuffles them beyond it.
     """
 
     def __init__(self, edges: DataFrame, vertices: DataFrame | None = None, persist: bool = True):
         self.edges = edges.persist(StorageLevel.MEMORY_AND_DISK) if persist else edges
         self.vertices = vertices
+        self.size = self.edges.count() if persist else None
 
     @property
     def spark(self):

@@ -40,7 +40,7 @@ def activity_edges(events: DataFrame, seconds: int = 60) -> DataFrame:
     Time is cut into buckets of that length; an event meets its own bucket and
     the next, so the join is an equality join with a residual condition.
     """
-    us = F.unix_micros("ts")
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
     span = seconds * 1_000_000
     a = events.select("event_type", F.col("user_id").alias("ua"), us.alias("ta"), F.explode(F.array(F.floor(us / span), F.floor(us / span) + 1)).alias("b"))
     b = events.select("event_type", F.col("user_id").alias("ub"), us.alias("tb"), F.floor(us / span).alias("b"))

@@ -13,7 +13,8 @@ EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value do
 
 def events_stream(spark: SparkSession, path: str, lateness: str = "10 minutes", per_batch: int = 1) -> DataFrame:
     schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", per_batch).parquet(path).withWatermark("ts", lateness)
+    rows = spark.readStream.schema(schema).option("maxFilesPerTrigger", per_batch).parquet(path)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
 
 
 def tumbling_counts(events: DataFrame, width: str = "1 hour", slide: str | None = None) -> DataFrame:
