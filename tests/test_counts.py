@@ -5,7 +5,8 @@ from itertools import combinations, permutations
 
 import pytest
 
-from cutloom.operators import baselines, constraints, decompose, enumerate, fragments, fsm, profile
+from cutloom.operators import baselines, constraints, decompose, fragments, fsm, profile
+from cutloom.operators import enumerate as levels
 from cutloom.operators.graph import Graph, normalize_edges
 from cutloom.patterns import Pattern, automorphisms, chain, clique, connected_patterns, cycle, diamond, house, star, tailed_triangle
 from cutloom.plans.cuts import all_cuts, joinable, parts
@@ -70,11 +71,11 @@ def test_enumeration_ways(graph):
         for induced in ("edge", "vertex"):
             want = len(matchings(p, induced))
             order = greedy_order(p)
-            assert enumerate.enumerate_matchings(graph, p, order, induced).count() == want
-            assert enumerate.set_rows(graph, p, order, induced).first()["cnt"] == want
+            assert levels.enumerate_matchings(graph, p, order, induced).count() == want
+            assert levels.set_rows(graph, p, order, induced).first()["cnt"] == want
             for k in (2, 3):
-                assert enumerate.enumerate_matchings(graph, p, order, induced, replay=k).count() == want
-            assert enumerate.embeddings(graph, p, induced).count() * len(automorphisms(p)) == want
+                assert levels.enumerate_matchings(graph, p, order, induced, replay=k).count() == want
+            assert levels.embeddings(graph, p, induced).count() * len(automorphisms(p)) == want
 
 
 def test_large_patterns_by_decomposition(graph):
