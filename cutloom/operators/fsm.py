@@ -11,6 +11,7 @@ from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.storagelevel import StorageLevel
 
 from cutloom.operators.graph import Graph
 from cutloom.patterns.algebra import Pattern, automorphisms
@@ -27,7 +28,7 @@ def _arcs(g: Graph, frequent: DataFrame | None) -> DataFrame:
         return arcs
     pairs = frequent.where("shape = 'edge'").select(F.col("l0").alias("lu"), F.col("l1").alias("lv"))
     pairs = pairs.unionAll(pairs.select(F.col("lv").alias("lu"), F.col("lu").alias("lv"))).distinct()
-    return arcs.join(F.broadcast(pairs), ["lu", "lv"], "left_semi").select("u", "v", "lu", "lv")
+    return arcs.join(pairs, ["lu", "lv"], "left_semi").select("u", "v", "lu", "lv")
 
 
 def _hop(arcs: DataFrame, a: int, b: int) -> DataFrame:
@@ -105,8 +106,11 @@ def supports(g: Graph, max_edges: int = 3, via: str = "fragments", at_least: int
     arcs = _arcs(g, None)
     out = [shape_supports(arcs, s, p, via) for s, p in SHAPES[1]]
     if at_least is not None:
-        out = [x.where(F.col("support") >= at_least) for x in out]
-        arcs = _arcs(g, out[0])
+        # a level is a job of its own: the next one starts from rows that are there
+        out = [x.where(F.col("support") >= at_least).persist(StorageLevel.MEMORY_AND_DISK) for x in out]
+        out[0].count()
+        arcs = _arcs(g, out[0]).persist(StorageLevel.MEMORY_AND_DISK)
+        arcs.count()
     for m in range(2, max_edges + 1):
         out += [shape_supports(arcs, s, p, via) for s, p in SHAPES[m]]
     return reduce(DataFrame.unionAll, out)
