@@ -101,8 +101,16 @@ def shape_supports(arcs: DataFrame, shape: str, p: Pattern, via: str = "fragment
     return kept.select(F.lit(shape).alias("shape"), F.lit(p.m).alias("n_edges"), *[(F.col(f"l{i}") if i < p.n else F.lit(None)).cast("string").alias(f"l{i}") for i in range(4)], F.col("support").cast("long").alias("support"))
 
 
-def supports(g: Graph, max_edges: int = 3, via: str = "fragments", at_least: int | None = None) -> DataFrame:
+def cheaper_way(g: Graph) -> str:
+    """Whole matchings where stars are fewer than label triples at their centres, else fragments."""
+    by = g.arcs.groupBy("u", "lv").agg(F.count(F.lit(1)).alias("d")).groupBy("u").agg(F.sum("d").alias("d"), F.count(F.lit(1)).alias("k"))
+    row = by.agg(F.sum(F.expr("CAST(d * (d - 1) * (d - 2) AS DOUBLE)")).alias("stars"), F.sum(F.expr("CAST(k * k * k + d * k * k * 3 AS DOUBLE)")).alias("triples")).first()
+    return "embeddings" if (row["stars"] or 0) <= (row["triples"] or 0) else "fragments"
+
+
+def supports(g: Graph, max_edges: int = 3, via: str = "auto", at_least: int | None = None) -> DataFrame:
     """Supports of all labelled patterns up to ``max_edges``; with ``at_least`` larger ones are grown from frequent edges alone (a part is never rarer than its whole)."""
+    via = cheaper_way(g) if via == "auto" else via
     arcs = _arcs(g, None)
     out = [shape_supports(arcs, s, p, via) for s, p in SHAPES[1]]
     if at_least is not None:
@@ -116,12 +124,12 @@ def supports(g: Graph, max_edges: int = 3, via: str = "fragments", at_least: int
     return reduce(DataFrame.unionAll, out)
 
 
-def fsm(g: Graph, threshold: int, max_edges: int = 3, via: str = "fragments") -> DataFrame:
+def fsm(g: Graph, threshold: int, max_edges: int = 3, via: str = "auto") -> DataFrame:
     """Labelled patterns whose smallest domain reaches the threshold."""
     return supports(g, max_edges, via, threshold).where(F.col("support") >= threshold)
 
 
-def fsm_sweep(g: Graph, thresholds: list[int], max_edges: int = 3, via: str = "fragments") -> DataFrame:
+def fsm_sweep(g: Graph, thresholds: list[int], max_edges: int = 3, via: str = "auto") -> DataFrame:
     """(threshold, shape, n): frequent patterns by shape for many thresholds from one pass over supports."""
     found = supports(g, max_edges, via, min(thresholds))
     marks = g.spark.createDataFrame([(int(t),) for t in thresholds], "threshold long")

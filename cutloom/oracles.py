@@ -110,7 +110,7 @@ def all_oracles() -> dict[str, str]:
     columns = "shape, n_edges, l0, l1, l2, l3, support"
     for t in (50, 100, 150):
         out[f"fsm_t{t}"] = f"WITH {supports_sql('bulk', types)} SELECT {columns} FROM sup WHERE support >= {t}"
-    out["fsm_t100_embeddings"] = out["fsm_t100"]
+    out["fsm_t100_embeddings"] = out["fsm_t100_fragments"] = out["fsm_t100"]
     out["fsm_sim_t10"] = f"WITH {supports_sql('sim', 'SELECT vec_id AS v, label::VARCHAR AS label FROM embeddings')} SELECT {columns} FROM sup WHERE support >= 10"
     marks = ", ".join(f"({t})" for t in SWEEP)
     out["fsm_sweep"] = f"WITH {supports_sql('bulk', types)} SELECT t.threshold::BIGINT AS threshold, s.shape, count(sup.support)::BIGINT AS n FROM (VALUES {marks}) t(threshold) CROSS JOIN (VALUES {', '.join(f'({chr(39)}{s}{chr(39)})' for s, _ in SHAPES)}) s(shape) LEFT JOIN sup ON sup.shape = s.shape AND sup.support >= t.threshold GROUP BY ALL"

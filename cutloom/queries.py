@@ -142,9 +142,10 @@ def _fsm(name: str, kind: str, label: str, threshold: int, via: str) -> None:
 
 
 for _t in (50, 100, 150):
-    _fsm(f"fsm_t{_t}", "bulk", "p_type", _t, "fragments")
+    _fsm(f"fsm_t{_t}", "bulk", "p_type", _t, "auto")
 _fsm("fsm_t100_embeddings", "bulk", "p_type", 100, "embeddings")
-_fsm("fsm_sim_t10", "sim", "label", 10, "fragments")
+_fsm("fsm_t100_fragments", "bulk", "p_type", 100, "fragments")
+_fsm("fsm_sim_t10", "sim", "label", 10, "auto")
 
 
 @query
