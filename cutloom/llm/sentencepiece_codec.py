@@ -23,10 +23,9 @@ reads as a space after decoding, as in the library.
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
-from os.path import commonprefix
-from struct import pack
 
 import numpy as np
 import pyarrow as pa
@@ -37,6 +36,7 @@ from pyspark.sql import functions as F
 from cutloom.llm.common import gathered
 
 MARK = "▁"
+_SHORT = (2, 1)
 _MARKED_WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 
 
@@ -57,12 +57,12 @@ class Codec:
         if bytes_at is not None:
             self.raw[bytes_at: bytes_at + 256] = [bytes([b]) for b in range(256)]
         self.worst = min(scores, default=0.0)
-        #: lengths, longest first, of the pieces of three characters or more that end with the key
+        #: lengths, longest first, of the pieces that may end with the key
         ends: dict[str, set[int]] = {}
         for p in pieces:
             if len(p) > 2:
                 ends.setdefault(p[-3:], set()).add(len(p))
-        self.sizes = {k: tuple(sorted(v, reverse=True)) for k, v in ends.items()}
+        self.sizes = {k: (*sorted(v, reverse=True), *_SHORT) for k, v in ends.items()}
 
     def merged(self, text: str) -> list[str]:
         """Merge the best scored adjacent pair, leftmost first, until none is a piece."""
@@ -85,9 +85,9 @@ class Codec:
         known = self.apart[left << 32 | right] = self.merged(a + b) == [a, b]
         return known
 
-    def extend(self, word: str, i: int, last: list[int], best: list[float]) -> None:
-        """Append the state of word[:i + 1]: its last piece, or -1 for a character outside the vocabulary."""
-        if self.kind == "unigram":
+    def grow_unigram(self, word: str, start: int, last: list[int], best: list[float]) -> None:
+        """Append the states of word[:i + 1] from ``start`` on: the last piece of the best path and its score."""
+        for i in range(start, len(word)):
             top, found = best[i] + self.worst - 10.0, -1
             for size in range(1, min(i + 1, self.longest) + 1):
                 j = self.pieces.get(word[i + 1 - size: i + 1])
@@ -95,26 +95,32 @@ class Codec:
                     top, found = best[i + 1 - size] + self.scores[j], j
             best.append(top)
             last.append(found)
-            return
-        for size in (*self.sizes.get(word[i - 2: i + 1], ()), 2, 1) if i > 1 else (2, 1) if i else (1,):
-            if size > i + 1:
-                continue
-            j = self.pieces.get(word[i + 1 - size: i + 1])
-            if j is None:
-                continue
-            before = last[i - size] if i >= size else -1
-            if before < 0:
-                if not self.whole(j):
+
+    def grow_bpe(self, word: str, start: int, last: list[int]) -> None:
+        """Append the states of word[:i + 1] from ``start`` on: its last piece, or -1 for a character outside the vocabulary."""
+        pieces, apart, sizes = self.pieces, self.apart, self.sizes
+        for i in range(start, len(word)):
+            found = -1
+            for size in sizes.get(word[i - 2: i + 1], _SHORT) if i > 1 else _SHORT:
+                at = i - size
+                if at < -1:
                     continue
-            else:
-                known = self.apart.get(before << 32 | j)
+                j = pieces.get(word[at + 1: i + 1])
+                if j is None:
+                    continue
+                before = last[at] if at >= 0 else -1
+                if before < 0:
+                    if self.whole(j):
+                        found = j
+                        break
+                    continue
+                known = apart.get(before << 32 | j)
                 if known is None:
                     known = self.stays_apart(before, j)
-                if not known:
-                    continue
-            last.append(j)
-            return
-        last.append(-1)
+                if known:
+                    found = j
+                    break
+            last.append(found)
 
     @lru_cache(maxsize=65536)  # noqa: B019
     def whole(self, j: int) -> bool:
@@ -125,13 +131,17 @@ class Codec:
         last: list[int] = []
         best: list[float] = [0.0]
         before = ""
-        extend, lengths = self.extend, self.lengths
+        unigram, lengths = self.kind == "unigram", self.lengths
         for word in words:
-            shared = len(commonprefix((before, word)))
+            shared, top = 0, min(len(before), len(word))
+            while shared < top and before[shared] == word[shared]:
+                shared += 1
             del last[shared:]
             del best[shared + 1:]
-            for i in range(shared, len(word)):
-                extend(word, i, last, best)
+            if unigram:
+                self.grow_unigram(word, shared, last, best)
+            else:
+                self.grow_bpe(word, shared, last)
             before = word
             ids = []
             i = len(word) - 1
@@ -144,7 +154,7 @@ class Codec:
                     ids += [self.bytes_at + b for b in reversed(word[i].encode())] if self.bytes_at is not None else [self.unknown]
                     i -= 1
             ids.reverse()
-            yield pack(f"<{len(ids)}i", *ids)
+            yield array("i", ids).tobytes()
 
     def marked(self, text: str) -> list[str]:
         """The marked words of a text, in order."""
@@ -176,8 +186,8 @@ def load(path: str) -> Codec:
     return Codec(normal, [p.score for p in model.pieces], bytes_at, unknown, kind, spec.add_dummy_prefix)
 
 
-def encode_texts(codec: Codec, texts: list[str], most: int = 200_000) -> Iterator[np.ndarray]:
-    """Encodings of texts; the distinct marked words that the codec hasn't met are walked as one trie.
+def encode_texts(codec: Codec, texts: list[str], most: int = 400_000) -> Iterator[np.ndarray]:
+    """The ids of each text; the distinct marked words that the codec hasn't met are walked as one trie.
 
     It remembers ``most`` words, or those of the texts at hand where they are more.
     """
