@@ -11,7 +11,7 @@ A leaf with budget b and h tokens gives floor(b / h) whole epochs and, of the
 next, the longest prefix within the rest, in an order by a seeded hash of the
 document id and the epoch.  The prefix is found in two steps, hash buckets
 first and then the one bucket in which it ends, so a leaf that holds a third of
-all rows never meets in one task.
+all rows never meets in one task.  Joins of rows with their leaf are salted.
 
 Defined results: null or empty texts have no tokens and are kept once if their
 leaf has none; null level values are the node ``none``; rows with equal ids
@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import SPACE_PATTERN
+from cutloom.llm.common import SPACE_PATTERN, shuffle_partitions
 
 #: The weights of the query and the pipeline; others weigh 1.
 WEIGHTS = {"domain": {"web": 4, "news": 3, "forum": 2, "other": 1}, "lang": {"en": 4, "de": 2, "fr": 2, "es": 2}, "source": {}}
@@ -85,6 +85,15 @@ def _order(epoch: Column, id_col: str, seed: int) -> Column:
     return F.xxhash64(F.lit(seed).cast("long"), epoch.cast("long"), F.col(id_col).cast("long"))
 
 
+def _with_leaf(rows: DataFrame, plan: DataFrame, names: list[str], how: str = "inner") -> DataFrame:
+    """``rows`` joined to ``plan`` by leaf.  A leaf's row is repeated for as many salts as there are
+    shuffle partitions, and its rows are dealt to them in turn, so a hot leaf is no task of its own."""
+    salts = shuffle_partitions(rows.sparkSession)
+    dealt = rows.withColumn("__leaf_salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)).cast("int"))
+    each = plan.withColumn("__leaf_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return dealt.join(each, [*names, "__leaf_salt"], how).drop("__leaf_salt")
+
+
 def decisions(docs: DataFrame, weights=WEIGHTS, share: int = SHARE, epochs: int = EPOCHS, seed: int = SEED, bits: int = BITS, id_col: str = "doc_id", tokens: Column | None = None) -> DataFrame:
     """For each leaf: epochs (whole ones), and bucket and last, where the prefix of the next ends."""
     names = [f"__{x}" for x in LEVELS]
@@ -94,11 +103,11 @@ def decisions(docs: DataFrame, weights=WEIGHTS, share: int = SHARE, epochs: int
     whole = F.when(F.col("have") > 0, F.floor(F.col("budget") / F.when(F.col("have") > 0, F.col("have")))).otherwise(1).cast("long")
     plan = plan.select(*names, "have", "budget", whole.alias("epochs")).withColumn("rest", F.when(F.col("have") > 0, F.col("budget") - F.col("epochs") * F.col("have")).otherwise(0))
     # every row's place in every epoch that could be the last one
-    placed = rows.join(plan.select(*names, "epochs", "rest"), names).withColumn("o", _order(F.col("epochs"), id_col, seed)).withColumn("b", _bucket(F.col("o"), bits))
+    placed = _with_leaf(rows, plan.select(*names, "epochs", "rest"), names).withColumn("o", _order(F.col("epochs"), id_col, seed)).withColumn("b", _bucket(F.col("o"), bits))
     buckets = placed.groupBy(*names, "rest", "b").agg(F.sum("n").alias("t"))
     run = Window.partitionBy(*names).orderBy("b")
     cut = buckets.withColumn("before", F.sum("t").over(run) - F.col("t")).where("before <= rest AND rest < before + t").select(*names, F.col("b").alias("bucket"), "before")
-    inside = placed.join(cut, names).where("b = bucket").withColumn("sum", F.sum("n").over(Window.partitionBy(*names).orderBy("o")))
+    inside = _with_leaf(placed, cut, names).where("b = bucket").withColumn("sum", F.sum("n").over(Window.partitionBy(*names).orderBy("o")))
     last = inside.where("before + sum <= rest").groupBy(*names).agg(F.max("o").alias("last"))
     return plan.join(cut.select(*names, "bucket"), names, "left").join(last, names, "left").select(*names, "have", "budget", "epochs", "bucket", "last")
 
@@ -110,7 +119,7 @@ def _bucket(o: Column, bits: int) -> Column:
 def copies(docs: DataFrame, plan: DataFrame, seed: int = SEED, bits: int = BITS, id_col: str = "doc_id") -> DataFrame:
     """``docs`` with __copies: whole epochs, and one more in the prefix."""
     names = [f"__{x}" for x in LEVELS]
-    rows = levels_of(docs).join(plan.select(*names, "epochs", "bucket", "last"), names, "left")
+    rows = _with_leaf(levels_of(docs), plan.select(*names, "epochs", "bucket", "last"), names, "left")
     o = _order(F.col("epochs"), id_col, seed)
     b = _bucket(o, bits)
     extra = F.coalesce((b < F.col("bucket")) | ((b == F.col("bucket")) & (o <= F.col("last"))), b < F.col("bucket"), F.lit(False))
