@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from cutloom.llm.common import gathered, hashed_words, mix, text_bytes
 
-BACKOFF = 0.4
+BACKOFF, ORDER = 0.4, 3
 _ORDER_KEYS = [np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3), np.uint64(0x1D8E4E27C47D124F)]
 
 
@@ -206,7 +206,7 @@ def corpus_size(docs: DataFrame) -> tuple[int, int]:
     return row["words"] or 0, row["size"] or 0
 
 
-def backoff_scores(docs: DataFrame, order: int = 2, backoff: float = BACKOFF, block_bytes: int = 4 << 20, range_bytes: int = 8 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def backoff_scores(docs: DataFrame, order: int = ORDER, backoff: float = BACKOFF, block_bytes: int = 16 << 20, range_bytes: int = 8 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_tokens, n_unseen, n_full, score_micro) for each row.
 
     n_unseen: tokens that no other document has; n_full: tokens scored at the

@@ -43,10 +43,9 @@ def _words(text):
 
 
 def test_lm_score(spark, rows, docs):
-    got = lm_score.backoff_scores(docs, block_bytes=9000, range_bytes=5000).collect()
     split = [_words(r[1]) for r in rows]
     for order in (2, 3):
-        found = got if order == 2 else lm_score.backoff_scores(docs, order=3, block_bytes=9000, range_bytes=5000).collect()
+        found = lm_score.backoff_scores(docs, order=order, block_bytes=9000, range_bytes=5000).collect()
         total = [collections.Counter() for _ in range(order)]
         own = []
         for w in split:
