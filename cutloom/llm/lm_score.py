@@ -35,6 +35,7 @@ from pyspark.sql import functions as F
 from cutloom.llm.common import gathered, hashed_words, mix, text_bytes
 
 BACKOFF, ORDER = 0.4, 3
+_SCORED_BYTES = 2 << 20
 _ORDER_KEYS = [np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3), np.uint64(0x1D8E4E27C47D124F)]
 
 
@@ -92,7 +93,11 @@ def exploded(table: pa.Table, order: int) -> tuple[list[np.ndarray], list[np.nda
 
 
 def _distinct(grams: list[np.ndarray], inside: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    return np.unique(np.concatenate([g[i] for g, i in zip(grams, inside)]), return_counts=True)
+    """The sorted hashes and their counts; each order is made distinct alone, which holds less at once."""
+    each = [np.unique(g[i], return_counts=True) for g, i in zip(grams, inside)]
+    keys, counts = (np.concatenate(x) for x in zip(*each))
+    place = np.argsort(keys)
+    return keys[place], counts[place]
 
 
 def range_of(hashes: np.ndarray, ranges: int) -> np.ndarray:
@@ -179,13 +184,15 @@ def _score_block(order: int, ranges: int, backoff: float, tokens: int):
         out = []
         for frozen in texts:
             docs_table = _thaw(frozen)
-            grams, inside, docs = exploded(docs_table, order)
-            keys, _ = _distinct(grams, inside)
+            keys = _distinct(*exploded(docs_table, order)[:2])[0]
             totals = np.concatenate([unpack(answers[p]) for p in sorted(answers)]) if answers else np.zeros(0, np.uint64)
             if len(totals) != len(keys):
                 raise RuntimeError("a block's n-grams changed between two reads of its documents")
-            sums = score_tokens(grams, inside, docs, keys, totals, tokens, docs_table.num_rows, backoff)
-            out.append(pa.table({"id": docs_table.column("id"), **{k: pa.array(v, pa.int64()) for k, v in sums.items()}}))
+            # documents need only the totals, so they are scored a few at a time
+            for some in gathered(iter(docs_table.to_batches()), _SCORED_BYTES):
+                grams, inside, docs = exploded(some, order)
+                sums = score_tokens(grams, inside, docs, keys, totals, tokens, some.num_rows, backoff)
+                out.append(pa.table({"id": some.column("id"), **{k: pa.array(v, pa.int64()) for k, v in sums.items()}}))
         if not out:
             raise RuntimeError("a block's texts are missing")
         return pa.concat_tables(out)
