@@ -156,7 +156,8 @@ def score_tokens(grams: list[np.ndarray], inside: list[np.ndarray], docs: np.nda
         if fits.any():
             real = gram[fits]
             _, back, own = np.unique(mix(real + mix(docs[fits].astype(np.uint64))), return_inverse=True, return_counts=True)
-            left[fits] = totals[np.searchsorted(keys, real)].astype(np.int64) - own[back]
+            asked, at = np.unique(real, return_inverse=True)  # sorted, so the lookups run along the keys
+            left[fits] = totals[np.searchsorted(keys, asked)][at].astype(np.int64) - own[back]
         rest.append(left)
     score = np.maximum(rest[0], 1) / np.maximum(tokens - own_tokens[docs], 1)
     hits = {"n_unseen": rest[0] <= 0}
