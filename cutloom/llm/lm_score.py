@@ -66,7 +66,7 @@ def _freeze(table: pa.Table) -> bytes:
     sink = io.BytesIO()
     with pa.ipc.new_stream(sink, table.schema) as out:
         out.write_table(table)
-    return zstandard.ZstdCompressor(level=1).compress(sink.getvalue())
+    return zstandard.ZstdCompressor(level=6).compress(sink.getbuffer())
 
 
 def _thaw(blob: bytes) -> pa.Table:
