@@ -244,7 +244,11 @@ def deduplicated(docs: DataFrame, size: int = 5, radius: int = 4) -> DataFrame:
 
     Of repeated rows with that id one stays; rows with a null id stay as they are.
     """
-    groups = near_duplicates(docs, size, radius)
+    return one_of_each(docs, near_duplicates(docs, size, radius))
+
+
+def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The rows of ``docs`` whose id is the component of ``groups`` (id, component), one for each; and those with a null id."""
     chosen = groups.where("id = component").select(F.col("component").alias("__keep")).distinct()
     from pyspark.sql import Window
 
