@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from cutloom.operators.enumerate import enumerate_matchings
 from cutloom.operators.graph import Graph
 from cutloom.patterns.algebra import Pattern, automorphisms, canonical_code, restrictions
-from cutloom.patterns.catalogue import connected_patterns, spanning_coefficients
+from cutloom.patterns.catalogue import connected_patterns, pseudo_cliques, spanning_coefficients
 from cutloom.plans.cost import DEFAULT, CostModel
 from cutloom.plans.cuts import Part, grouped_collisions, part_pattern, parts
 from cutloom.plans.search import Plan, best_direct, counting_cut, greedy_order
@@ -135,13 +135,35 @@ def clique_count(g: Graph, p: Pattern) -> DataFrame:
     if not p.is_clique():
         plan = best_direct(p)
         return enumerate_matchings(g, p, plan.order, pinned=restrictions(p)).agg(F.count(F.lit(1)).alias("cnt"))
+    return clique_rows(g, p.n).agg(F.count(F.lit(1)).alias("cnt"))
+
+
+def clique_rows(g: Graph, n: int) -> DataFrame:
+    """(m0 .. m(n-1)): each clique of n vertices once, in the order of degrees."""
     arcs = g.with_degree_order()
     rows = arcs.select(F.col("u").alias("m0"), F.col("v").alias("m1"))
-    for w in range(2, p.n):
+    for w in range(2, n):
         rows = rows.join(arcs.select(F.col("u").alias("m0"), F.col("v").alias(f"m{w}")), "m0") if w == 2 else rows.join(arcs.select(F.col("u").alias(f"m{w - 1}"), F.col("v").alias(f"m{w}")), f"m{w - 1}")
         for u in range(1 if w == 2 else 0, w if w == 2 else w - 1):
             rows = rows.join(arcs.select(F.col("u").alias(f"m{u}"), F.col("v").alias(f"m{w}")), [f"m{u}", f"m{w}"], "left_semi")
-    return rows.agg(F.count(F.lit(1)).alias("cnt"))
+    return rows
+
+
+def pseudo_clique_counts(g: Graph, n: int) -> DataFrame:
+    """(pattern, n, m, cnt) of the vertex-induced pseudo-cliques that lack at most one edge.
+
+    The cut is the clique of n - 2 vertices, taken once instead of in every
+    order; its common neighbours are counted from the cliques of n - 1.  Of the
+    pairs of common neighbours those that are adjacent make cliques of n, each
+    seen from n(n-1)/2 cuts, and the others the near-cliques.
+    """
+    full, lacking = sorted(pseudo_cliques(n), key=lambda p: -p.m)
+    names = [f"m{i}" for i in range(n - 1)]
+    cuts = clique_rows(g, n - 1).select(F.explode(F.array(*[F.array(*[x for x in names if x != gone]) for gone in names])).alias("cut"))
+    pairs = cuts.groupBy("cut").agg(F.count(F.lit(1)).alias("c")).agg(F.coalesce(F.sum(F.expr("CAST(c * (c - 1) div 2 AS DECIMAL(38,0))")), F.lit(0)).alias("pairs"))
+    both = clique_count(g, full).join(F.broadcast(pairs))
+    row = lambda p, cnt: F.struct(F.lit(p.name).alias("pattern"), F.lit(p.n).alias("n"), F.lit(p.m).alias("m"), cnt.cast("long").alias("cnt"))
+    return both.select(F.explode(F.array(row(full, F.col("cnt")), row(lacking, F.col("pairs") - full.m * F.col("cnt")))).alias("x")).select("x.*")
 
 
 def combined(g: Graph, wanted: list[tuple[Pattern, dict[tuple, Fraction]]], names: list[str] | None = None, chunk: int | None = None) -> DataFrame:
