@@ -14,8 +14,10 @@ dimension squared); it only affects speed.
 
 Defined results: vectors that are null or hold null or non-finite components
 take no part; shorter vectors count as padded with zeros; repeated rows are
-candidates of their own, and a query leaves out all rows with its own id; a
-query with a null id takes no part.
+candidates of their own, and a query leaves out all rows with its own id; rows
+of a query that repeat its id and vector are one query, and a query id with
+several vectors has k rows for each of them; a query with a null id takes no
+part.
 """
 
 from __future__ import annotations
@@ -25,6 +27,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -93,8 +96,8 @@ def _product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return a @ b.T
 
 
-def best_of(query_ids: np.ndarray, queries: np.ndarray, blocks: list[tuple[np.ndarray, np.ndarray]], k: int, turn: np.ndarray, head: int) -> Iterator[tuple[int, int, int]]:
-    """(query, vec, score) of each query's k best over the blocks; also counts what it multiplied out."""
+def best_of(query_ids: np.ndarray, queries: np.ndarray, blocks: list[tuple[np.ndarray, np.ndarray]], k: int, turn: np.ndarray, head: int) -> Iterator[tuple[int, int, int, int]]:
+    """(query, row of the query, vec, score) of each query's k best over the blocks; also counts what it multiplied out."""
     low = np.iinfo(np.int64).min
     scores = np.full((len(queries), k), low)
     found = np.full((len(queries), k), np.iinfo(np.int64).max)
@@ -132,7 +135,7 @@ def best_of(query_ids: np.ndarray, queries: np.ndarray, blocks: list[tuple[np.nd
     for i in range(len(queries)):
         for j in range(k):
             if scores[i, j] > low:
-                yield int(query_ids[i]), int(found[i, j]), int(scores[i, j])
+                yield int(query_ids[i]), i, int(found[i, j]), int(scores[i, j])
 
 
 def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, head: int = 16, block: int = 1024, shard: int = 4096, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -149,6 +152,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, he
     parts = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n // block)))
     # queries by hash in shards of about ``shard``
     asked = quantised(vectors.where(is_query), id_col, vector_col, scale)
+    asked = asked.select("id", F.concat("v", F.array_repeat(F.lit(0).cast("long"), F.lit(width) - F.size("v"))).alias("v")).distinct()
     n_asked = asked.count()
     shards = max(1, -(-n_asked // shard))
     chunks = max(1, -(-n // (8 * block)))
@@ -160,10 +164,14 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, he
 
     def search(left: pa.Table, right: pa.Table) -> pa.Table:
         blocks = [_unpack(a, b, width) for a, b in zip(right.column("ids").to_pylist(), right.column("m").to_pylist())]
-        rows = [x for a, b in zip(left.column("ids").to_pylist(), left.column("m").to_pylist()) for x in best_of(*_unpack(a, b, width), blocks, k, turn, head)]
-        columns = list(zip(*rows)) or [(), (), ()]
-        return pa.table({name: pa.array(c, pa.int64()) for name, c in zip(("query_id", "vec_id", "score"), columns)})
-
-    found = queries.groupBy("s", "c").cogroup(held.groupBy("s", "c")).applyInArrow(search, "query_id long, vec_id long, score long")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+        rows = []
+        for a, b in zip(left.column("ids").to_pylist(), left.column("m").to_pylist()):
+            ids, m = _unpack(a, b, width)
+            tags = [xxhash.xxh64_intdigest(v.tobytes()) - (1 << 63) for v in m]
+            rows += [(q, tags[i], v, s) for q, i, v, s in best_of(ids, m, blocks, k, turn, head)]
+        columns = list(zip(*rows)) or [(), (), (), ()]
+        return pa.table({name: pa.array(c, pa.int64()) for name, c in zip(("query_id", "tag", "vec_id", "score"), columns)})
+
+    found = queries.groupBy("s", "c").cogroup(held.groupBy("s", "c")).applyInArrow(search, "query_id long, tag long, vec_id long, score long")
+    rank = F.row_number().over(Window.partitionBy("query_id", "tag").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
