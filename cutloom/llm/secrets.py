@@ -7,8 +7,8 @@ For each character class, one fold over a candidate's characters keeps the
 counts of the last ``WINDOW`` characters of the class: the incoming and the
 outgoing character change the sum of c * log2(c) by table entries, in millionths
 of a bit, so results are integers.  A candidate whose window reaches a class's
-entropy adds a span, unless the allow list knows it or a pattern's span
-overlaps it.
+entropy adds a span, unless the allow list knows it.  Patterns' spans are cut out
+of it, and the pieces left that hold such a window stay.
 
 Defined results: null texts count as empty and have no spans; noncharacters
 U+FDD0 to U+FDD2 of a text are read as another character, which moves nothing;
@@ -147,13 +147,35 @@ def entropy_spans(text: Column, kind: int, allowed: list[str] = ALLOWED) -> Colu
     return F.filter(F.transform(found, extents), lambda s: s.isNotNull()).cast(_SPANS)
 
 
+def _outside(span: Column, base: Column) -> Column:
+    """The pieces of a span that no span of ``base`` (sorted) touches."""
+    state = f"struct<at:int,out:{_SPANS}>"
+
+    def with_piece(a: Column, end: Column) -> Column:
+        return F.concat(a["out"], F.array(F.struct(a["at"].alias("start"), span["kind"].alias("kind"), end.alias("end"))))
+
+    def step(a: Column, x: Column) -> Column:
+        out = F.when(x["start"] > a["at"], with_piece(a, x["start"])).otherwise(a["out"])
+        return F.when((x["start"] < span["end"]) & (x["end"] > a["at"]), F.struct(x["end"].alias("at"), out.alias("out")).cast(state)).otherwise(a)
+
+    first = F.struct(span["start"].alias("at"), F.array().cast(_SPANS).alias("out")).cast(state)
+    return F.aggregate(base, first, step, lambda a: F.when(a["at"] < span["end"], with_piece(a, span["end"])).otherwise(a["out"]))
+
+
+def _is_hot(text: Column, s: Column) -> Column:
+    """Whether a window of high entropy lies inside the span."""
+    piece = F.substring(text, s["start"] + 1, s["end"] - s["start"])
+    return (s["end"] - s["start"] >= WINDOW) & let(piece, lambda p: F.exists(F.array(*[entropy_extent(p, alphabet, least)["first"] for _, alphabet, least in CLASSES]), lambda x: x >= 0))
+
+
 def scan(text: Column) -> Column:
     """struct<base, all>: sorted spans of the patterns, and with those of the entropy."""
     def of(t: Column) -> Column:
         base = F.concat(*[pattern_spans(t, i, p) for i, p in enumerate(PATTERNS)])
 
         def with_base(b: Column) -> Column:
-            fresh = F.filter(entropy_spans(t, len(PATTERNS)), lambda s: ~F.exists(b, lambda x: (x["start"] < s["end"]) & (s["start"] < x["end"])))
+            left = lambda s: F.filter(_outside(s, b), lambda x: ((x["start"] == s["start"]) & (x["end"] == s["end"])) | _is_hot(t, x))
+            fresh = F.flatten(F.transform(entropy_spans(t, len(PATTERNS)), left))
             return F.struct(b.alias("base"), F.sort_array(F.concat(b, fresh)).alias("all"))
 
         return let(F.sort_array(base), with_base)
