@@ -221,26 +221,36 @@ def timed(spark: SparkSession, fn: Callable[[], object], repeats: int = 1) -> fl
     return (time.perf_counter() - began) / repeats
 
 
-def model_rows(g: Graph, p: Pattern, k: int, seed: int = 1) -> list[tuple[float, float, float, float]]:
-    """(seconds, uniform, local, profiled estimate) of random plans of a pattern."""
+def model_rows(g: Graph, patterns: tuple[Pattern, ...], k: int, seed: int = 1) -> list[tuple[float, float, float, float]]:
+    """(seconds, uniform, local, profiled estimate) of random plans of an application: one random plan of each pattern, summed."""
+    from cutloom.plans.cost import cut_cost
+
     n, m = g.stats()
     degree = 2 * m / n
     models = [UniformModel(n, degree), LocalModel(n, degree, P.local_probability(g)), P.ProfileStore(g, trials=20_000).model(4)]
     out = []
-    for plan in random_plans(p, k, seed):
-        seconds = timed(g.spark, lambda plan=plan: D.count_with_cut(g, p, plan.cut))
-        from cutloom.plans.cost import cut_cost
-
-        out.append((seconds, *[cut_cost(p, plan.cut, [list(o) for o in plan.part_orders], x) for x in models]))
+    for plans in zip(*[random_plans(p, k, seed + i) for i, p in enumerate(patterns)]):
+        each = list(zip(patterns, plans))
+        seconds = timed(g.spark, lambda each=each: [D.count_with_cut(g, p, plan.cut) for p, plan in each])
+        out.append((seconds, *[sum(cut_cost(p, plan.cut, [list(o) for o in plan.part_orders], x) for p, plan in each) for x in models]))
     return out
 
 
+#: The 5-motifs that have a cut, the ladder of six vertices and the 6-cycle with a chord.
+APPLICATIONS = {"motif5": tuple(p for p in connected_patterns(5) if not p.is_clique()), "ladder6": (Pattern.parse("01 12 34 45 03 14 25"),), "chord6": (Pattern.parse("01 12 23 34 45 05 02"),)}
+PLANS = 100
+
+
+def correlations(g: Graph, applications: dict[str, tuple[Pattern, ...]], k: int) -> DataFrame:
+    rows = [(name, *map(float, r)) for name, patterns in applications.items() for r in model_rows(g, patterns, k)]
+    df = g.spark.createDataFrame(rows, "application string, seconds double, uniform double, local double, profiled double")
+    return df.groupBy("application").agg(F.corr("seconds", "uniform").alias("uniform"), F.corr("seconds", "local").alias("local"), F.corr("seconds", "profiled").alias("profiled"), F.count(F.lit(1)).alias("n"))
+
+
 @query
 def model_correlation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Correlation of each model's estimate with the run time over random plans of the house (four here; the benchmark script takes more)."""
-    rows = model_rows(graph(spark, sf_dir, "bulk45"), house(), 4)
-    df = spark.createDataFrame([tuple(map(float, r)) for r in rows], "seconds double, uniform double, local double, profiled double")
-    return df.agg(F.corr("seconds", "uniform").alias("uniform"), F.corr("seconds", "local").alias("local"), F.corr("seconds", "profiled").alias("profiled"), F.count(F.lit(1)).alias("n"))
+    """Correlation of each model's estimate with the run time over PLANS random plans of each application."""
+    return correlations(graph(spark, sf_dir, "bulk"), APPLICATIONS, PLANS)
 
 
 ABLATION = (house(), Pattern.parse("01 02 03 12 13 24"), Pattern.parse("01 02 03 14 24"))
