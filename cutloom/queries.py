@@ -117,7 +117,7 @@ BASELINES["baseline_bound"] = ((cycle(4), house()), "bulk", "edge")
 @query
 def baseline_perfect(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = graph(spark, sf_dir, "bulk45")
-    rows = [(p.name, p.n, p.m, B.perfect(g, p, most=6)[2]) for p in (tailed_triangle(),)]
+    rows = [(p.name, p.n, p.m, B.perfect(g, p)[2]) for p in (tailed_triangle(),)]
     return spark.createDataFrame(rows, "pattern string, n int, m int, cnt long")
 
 
