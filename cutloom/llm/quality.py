@@ -3,14 +3,19 @@
 Rules vote good (1), bad (-1) or abstain (0) on measures of the whole text: a
 defect rule votes bad or abstains, since lacking one defect says little, and an
 evidence rule may also vote good.  Expectation-maximisation over the distinct
-vote patterns (at most 3^rules, so one bounded row) estimates each rule's
-accuracy, that is how often its vote is right, and the share of good documents;
-a document's posterior then replaces passing every rule.  The estimation is one SQL expression, folded over
-the rounds; documents meet their pattern's posterior in a broadcast join whose
-size is bounded by 3^rules.
+vote patterns (at most 3^rules, so one bounded row) estimates how often each
+rule votes bad, abstains or votes good in either class, hence each rule's
+accuracy (how often its vote is right), and the share of good documents; a
+document's posterior then replaces passing every rule.  The start counts as
+``STRENGTH`` pseudo-documents of each class, a fixed few, so the corpus decides
+where an estimate ends; the class in which the anchor rule votes bad less often
+is the good one.  The estimation is one SQL expression, folded over the rounds;
+documents meet their pattern's posterior in a broadcast join whose size is
+bounded by 3^rules.
 
 Defined results: null and empty texts have no words, so they fail the base; an
-empty table gives no rows; repeated rows are judged alike.
+empty table gives no rows; repeated rows are judged alike; a very long text is
+judged whole, in one row; columns of the input may have any names.
 """
 
 from __future__ import annotations
@@ -28,11 +33,18 @@ COMMON_WORDS = "the of and to in a is that for it with as was on be at by der di
 WINDOW = 5
 
 
+#: Start shares of (bad, none, good) votes in good and in bad documents: of defect rules, and of evidence rules.
+DEFECT = ((0.02, 0.97, 0.01), (0.30, 0.69, 0.01))
+EVIDENCE = ((0.05, 0.25, 0.70), (0.30, 0.40, 0.30))
+
+
 @dataclass(frozen=True)
 class Rule:
     """Bad from ``bad`` thousandths of numerator / denominator on; good up to ``good``, if that is given.
 
-    With ``more_is_better`` the senses swap.  ``accuracy`` is where the estimate starts.
+    With ``more_is_better`` the senses swap.  ``starts`` is where the estimate
+    starts: the shares of bad votes, abstentions and good votes in good documents
+    and in bad ones.
     """
 
     name: str
@@ -41,7 +53,7 @@ class Rule:
     bad: int
     good: int | None = None
     more_is_better: bool = False
-    accuracy: float = 0.97
+    starts: tuple[tuple[float, float, float], tuple[float, float, float]] = DEFECT
 
     def sql(self) -> str:
         x, bad = f"1000 * {self.numerator}", f"{self.bad} * {self.denominator}"
@@ -52,7 +64,7 @@ class Rule:
 
 #: Thresholds in thousandths.
 RULES = [
-    Rule("length", "n_words", "1", 12_000, 40_000, True, 0.7),
+    Rule("length", "n_words", "1", 12_000, 40_000, True, EVIDENCE),
     Rule("symbols", "n_symbols", "n_words", 150),
     Rule("marks", "n_symbols", "word_chars", 40),
     Rule("repeats", "n_repeat_words", "n_words", 120),
@@ -60,10 +72,11 @@ RULES = [
     Rule("word_size", "word_chars", "n_words", 16_000),
     Rule("capitals", "n_capitals", "word_chars", 300),
     Rule("calls", "n_calls", "n_words", 200),
-    Rule("common", "n_common", "1", 1_000, 4_000, True, 0.7),
+    Rule("common", "n_common", "1", 1_000, 4_000, True, EVIDENCE),
 ]
 
-PRIOR, ROUNDS, SHRINK = 0.8, 25, 1
+#: Rounds of the fit, pseudo-documents of each class, and the rule that tells the classes apart.
+PRIOR, ROUNDS, STRENGTH, ANCHOR = 0.8, 40, 20, 1
 
 
 def measures(text: Column) -> Column:
@@ -147,44 +160,71 @@ def _on(sql: str, x: Column) -> Column:
     return result.otherwise(F.lit(int(other)))
 
 
-_PARAMS = "struct<prior:double,right:array<double>>"
+_PARAMS = "struct<prior:double,good:array<double>,bad:array<double>>"
 
 
-def posteriors(patterns: DataFrame, rules: list[Rule] = RULES, rounds: int = ROUNDS) -> DataFrame:
-    """(votes, posterior) from (votes, n): the maximum a posteriori fit of the two-class model.
+def _shares(rules: list[Rule], k: int) -> list[float]:
+    """Start shares of class ``k``, flat: three for each rule."""
+    return [x for r in rules for x in r.starts[k]]
 
-    An accuracy is pulled to where it starts by pseudo-votes, as many as
-    documents, which keeps the classes from trading places where defects are rare.
-    """
-    row = patterns.agg(F.sort_array(F.collect_list(F.struct("votes", "n"))).alias("v"), (F.sum("n").cast("double") / SHRINK + 1).alias("s"))
-    start = F.array(*[F.lit(r.accuracy) for r in rules])
 
-    def chance(p: Column, votes: Column) -> Column:
-        weights = F.transform(votes, lambda x, j: x * F.log(p["right"][j] / (1 - p["right"][j])))
-        return 1 / (1 + F.exp(-F.aggregate(weights, F.log(p["prior"] / (1 - p["prior"])), lambda a, x: a + x)))
+def _odds(p: Column, votes: Column) -> Column:
+    """The posterior of a vote pattern under the parameters ``p``."""
+    weights = F.transform(votes, lambda x, j: F.log(p["good"][3 * j + x + 1] / p["bad"][3 * j + x + 1]))
+    return 1 / (1 + F.exp(-F.aggregate(weights, F.log(p["prior"] / (1 - p["prior"])), lambda a, x: a + x)))
+
+
+def fitted(patterns: DataFrame, rules: list[Rule] = RULES, rounds: int = ROUNDS, anchor: int = ANCHOR) -> DataFrame:
+    """One row (v array<struct<votes, n>>, p struct<prior, good, bad>) from (votes, n); none without patterns.
+
+    good and bad hold, flat, each rule's shares of bad votes, abstentions and
+    good votes in that class.
+    """
+    row = patterns.agg(F.sort_array(F.collect_list(F.struct("votes", "n"))).alias("v"))
 
     def step(p: Column, _: Column) -> Column:
         def refit(q: Column) -> Column:
-            span = F.sequence(F.lit(0), F.size("v") - 1)
-            total = lambda f: F.aggregate(span, F.lit(0.0), lambda a, k: a + F.col("v")[k]["n"] * f(F.col("v")[k]["votes"], k))
+            masses = F.transform("v", lambda x, k: F.struct(x["votes"].alias("votes"), (x["n"] * q[k]).alias("g"), (x["n"] * (1 - q[k])).alias("b")))
+
+            def shares(m: Column) -> Column:
+                def of(side: str, start: list[float]) -> tuple[Column, Column]:
+                    whole = F.aggregate(m, F.lit(float(STRENGTH)), lambda a, x: a + x[side])
+                    part = F.transform(F.array(*map(F.lit, start)), lambda s, i: F.aggregate(m, s * STRENGTH, lambda a, x: a + F.when(x["votes"][F.floor(i / 3).cast("int")] == i % 3 - 1, x[side]).otherwise(0.0)))
+                    return whole, let(whole, lambda w: F.transform(part, lambda x: x / w))
+
+                (ng, good), (nb, bad) = of("g", _shares(rules, 0)), of("b", _shares(rules, 1))
+                return F.struct((ng / (ng + nb)).alias("prior"), good.alias("good"), bad.alias("bad")).cast(_PARAMS)
+
+            return let(masses, shares)
+
+        return let(F.transform("v", lambda x: _odds(p, x["votes"])), refit)
+
+    first = F.struct(F.lit(PRIOR).alias("prior"), F.array(*map(F.lit, _shares(rules, 0))).alias("good"), F.array(*map(F.lit, _shares(rules, 1))).alias("bad")).cast(_PARAMS)
+
+    def named(p: Column) -> Column:
+        swapped = F.struct((1 - p["prior"]).alias("prior"), p["bad"].alias("good"), p["good"].alias("bad")).cast(_PARAMS)
+        return F.when(p["good"][3 * anchor] > p["bad"][3 * anchor], swapped).otherwise(p)
+
+    return row.where(F.size("v") > 0).select("v", let(F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), first, step), named).alias("p"))
 
-            def right(begin: Column, j: Column) -> Column:
-                hit = total(lambda votes, k: F.when(votes[j] == 1, q[k]).when(votes[j] == -1, 1 - q[k]).otherwise(0.0))
-                cast = total(lambda votes, k: F.abs(votes[j]).cast("double"))
-                return (hit + begin * F.col("s")) / (cast + F.col("s"))
 
-            prior = total(lambda votes, k: q[k]) / total(lambda votes, k: F.lit(1.0))
-            return F.struct(F.greatest(F.lit(0.05), F.least(F.lit(0.9), prior)).alias("prior"), F.transform(start, right).alias("right")).cast(_PARAMS)
+def posteriors(patterns: DataFrame, rules: list[Rule] = RULES, rounds: int = ROUNDS, anchor: int = ANCHOR) -> DataFrame:
+    """(votes, posterior) from (votes, n)."""
+    each = let(F.col("p"), lambda p: F.transform("v", lambda x: F.struct(x["votes"].alias("votes"), _odds(p, x["votes"]).alias("posterior"))))
+    return fitted(patterns, rules, rounds, anchor).select(F.explode(each).alias("x")).select("x.votes", "x.posterior")
 
-        return let(F.transform("v", lambda x: chance(p, x["votes"])), refit)
 
-    first = F.struct(F.lit(PRIOR).alias("prior"), start.alias("right")).cast(_PARAMS)
-    fitted = row.where(F.size("v") > 0).select("v", F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), first, step).alias("p"))
-    return fitted.select(F.explode(let(F.col("p"), lambda p: F.transform("v", lambda x: F.struct(x["votes"].alias("votes"), chance(p, x["votes"]).alias("posterior"))))).alias("x")).select("x.votes", "x.posterior")
+def accuracies(patterns: DataFrame, rules: list[Rule] = RULES, rounds: int = ROUNDS, anchor: int = ANCHOR) -> DataFrame:
+    """(rule, cast, accuracy): how many votes each rule cast and the expected share of right ones (null without votes)."""
+    each = let(F.col("p"), lambda p: F.transform("v", lambda x: F.struct(x["votes"].alias("votes"), x["n"].alias("n"), _odds(p, x["votes"]).alias("q"))))
+    rows = fitted(patterns, rules, rounds, anchor).select(F.explode(each).alias("x")).select("x.n", "x.q", F.posexplode("x.votes").alias("j", "vote")).where("vote <> 0")
+    sums = rows.groupBy("j").agg(F.sum("n").alias("cast"), (F.sum(F.col("n") * F.when(F.col("vote") == 1, F.col("q")).otherwise(1 - F.col("q"))) / F.sum("n")).alias("accuracy"))
+    names = patterns.sparkSession.createDataFrame([(j, r.name) for j, r in enumerate(rules)], "j int, rule string")
+    return names.join(F.broadcast(sums), "j", "left").select("rule", F.coalesce("cast", F.lit(0)).cast("long").alias("cast"), "accuracy")
 
 
 def judged(docs: DataFrame, rules: list[Rule] = RULES, text_col: str = "text") -> DataFrame:
-    """``docs`` with __q (measures, base_failed, votes), posterior and kept."""
+    """``docs`` with __q (measures, base_failed, votes), __posterior and __kept."""
     marked = voted(docs, rules, text_col)
     known = posteriors(marked.groupBy(F.col("__q.votes").alias("votes")).agg(F.count(F.lit(1)).alias("n")), rules)
     known = known.select(F.col("votes").alias("__votes"), F.col("posterior").alias("__posterior"))
@@ -194,15 +234,17 @@ def judged(docs: DataFrame, rules: list[Rule] = RULES, text_col: str = "text") -
 
 def quality_filtered(docs: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
     """The rows of ``docs`` that pass the base and whose posterior is at least one half."""
-    return judged(docs, rules).where("__kept").drop("__q", "__posterior", "__kept")
+    packed = docs.select(F.struct(*docs.columns).alias("row"), F.col("text"))
+    return judged(packed, rules).where("__kept").select("row.*")
 
 
 def oracle(rules: list[Rule] = RULES) -> str:
     """The same in DuckDB SQL, with a recursive fit."""
     m = range(1, len(rules) + 1)
-    logit = " + ".join(f"v[{j}] * ln(p[{j}] / (1 - p[{j}]))" for j in m)
-    right = ", ".join(f"(coalesce(sum(n * CASE v[{j}] WHEN 1 THEN q ELSE 1 - q END) FILTER (v[{j}] <> 0), 0) + {rules[j - 1].accuracy} * (sum(n) / {SHRINK}.0 + 1)) / (coalesce(sum(n) FILTER (v[{j}] <> 0), 0) + sum(n) / {SHRINK}.0 + 1)" for j in m)
-    start = ", ".join(f"{r.accuracy}::DOUBLE" for r in rules)
+    logit = " + ".join(f"ln(g[{3 * j - 1} + v[{j}]] / b[{3 * j - 1} + v[{j}]])" for j in m)
+    side = lambda k, mass: ", ".join(f"(coalesce(sum({mass}) FILTER (v[{i // 3 + 1}] = {i % 3 - 1}), 0) + {STRENGTH} * {x}) / (sum({mass}) + {STRENGTH})" for i, x in enumerate(_shares(rules, k)))
+    start = lambda k: ", ".join(f"{x}::DOUBLE" for x in _shares(rules, k))
+    swap = f"g[{3 * ANCHOR + 1}] > b[{3 * ANCHOR + 1}]"
     words = ", ".join(f"'{w}'" for w in dict.fromkeys(COMMON_WORDS))
     return f"""
 WITH RECURSIVE t AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS text FROM documents),
@@ -215,10 +257,10 @@ m AS (SELECT w.r, doc_id, len(w)::BIGINT AS n_words, length(array_to_string(w, '
   FROM w LEFT JOIN rep ON rep.r = w.r),
 d AS (SELECT *, ({BASE}) AS base_failed, [{", ".join(r.sql() for r in rules)}] AS v FROM m),
 pat AS (SELECT v, count(*)::DOUBLE AS n FROM d GROUP BY v),
-em(it, prior, p) AS (
-  SELECT 0, {PRIOR}::DOUBLE, [{start}]
+em(it, prior, g, b) AS (
+  SELECT 0, {PRIOR}::DOUBLE, [{start(0)}], [{start(1)}]
   UNION ALL
-  SELECT it + 1, greatest(0.05, least(0.9, sum(n * q) / sum(n))), [{right}]
+  SELECT it + 1, (sum(n * q) + {STRENGTH}) / (sum(n) + 2 * {STRENGTH}), [{side(0, "n * q")}], [{side(1, "n * (1 - q)")}]
   FROM (SELECT it, n, v, 1 / (1 + exp(-(ln(prior / (1 - prior)) + {logit}))) AS q FROM em, pat WHERE it < {ROUNDS}) AS e GROUP BY it),
-z AS (SELECT v, 1 / (1 + exp(-(ln(prior / (1 - prior)) + {logit}))) AS q FROM em, pat WHERE it = {ROUNDS})
+z AS (SELECT v, CASE WHEN {swap} THEN 1 - q ELSE q END AS q FROM (SELECT v, g, b, 1 / (1 + exp(-(ln(prior / (1 - prior)) + {logit}))) AS q FROM em, pat WHERE it = {ROUNDS}) AS f)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, (NOT base_failed AND q >= 0.5) AS kept FROM d JOIN z ON z.v = d.v"""
