@@ -1,39 +1,54 @@
-"""Token counts of documents without their ids.
+"""Token counts of documents through a table of distinct pre-tokens.
 
-A text is cut into units: a run of white space and the run of other characters
-after it.  No pre-token crosses the start of a unit, so a unit's token count
-depends on the unit alone.  Each task counts the pieces of each distinct unit
-once (in one call over all new units laid end to end, whose tokens are dealt
-back by their byte lengths), joins the counts to the units of each document
-through their 64-bit hashes and sums.
+No token crosses the border of a pre-token, so a document's count is the sum
+over its pre-tokens of frequency times pieces, plus one for each special string
+inside it.  Three relations say that:
 
-Texts with white space outside ASCII or with the strings of special tokens are
-counted by the library as a whole, since units don't hold for them.
+* vocabulary(piece, n, tokens): every distinct pre-token of the corpus with its
+  frequency; its pieces are counted once, after the grouping.
+* frequencies of each document.  The ``HOT`` most frequent short pre-tokens are
+  a table of bounded size, which travels to the tasks and is summed where the
+  text is read; only rare ones become (row, piece, n), so that few rows move and
+  none of their keys is hot.
+* rare frequencies joined to the vocabulary, summed by row with what was known.
+
+Ids of a document's tokens are never made.
 
 Defined results: null and empty texts have no bytes and no tokens; repeated
-rows are counted each; a text of any length is cut into units piecewise.
+rows are counted each; a text of any length is one row, and a pre-token of any
+length one entry; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import json
 import re
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
-import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import gathered, pieces, span_hashes, text_bytes, word_spans
+from cutloom.llm.common import gathered, reliable
+
+#: Fixed value: the pre-token pattern of the byte-level tokenizer files.
+PRE_TOKENS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+#: Characters whose classes all Unicode versions since 7.0 agree on; a text with others is cut by the library itself.
+SETTLED = "[\x00-\x1b\x20-\u04ff\u2000-\u2064]*"
+#: The bound of the table that travels: entries, and bytes of one.
+HOT, HOT_BYTES = 1 << 16, 256
+_MOST_HELD = 200_000
 
-#: White space beyond ASCII as the tokenizers' patterns know it, and ASCII controls that some of them count: fixed values.
-WIDE_SPACE = r"\x85\xa0  -     　\x1c-\x1f"
+_pattern = regex.compile(PRE_TOKENS)
+_settled = re.compile(SETTLED)
 
 
 @lru_cache(maxsize=4)
 def _tokenizer(path: str):
+    """The library's tokenizer and the pattern of its special strings, or None."""
     import os
 
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -42,113 +57,96 @@ def _tokenizer(path: str):
     with open(path, encoding="utf-8") as f:
         text = f.read()
     spec = json.loads(text)
-    if spec["model"]["type"] != "BPE" or (spec.get("pre_tokenizer") or {}).get("type") != "ByteLevel" or spec.get("normalizer"):
-        raise ValueError("a byte-level BPE tokenizer file without a normalizer is needed")
+    before = spec.get("pre_tokenizer") or {}
+    if spec["model"]["type"] != "BPE" or spec.get("normalizer") or before.get("type") != "ByteLevel" or before.get("add_prefix_space") or not before.get("use_regex", True):
+        raise ValueError("a byte-level BPE tokenizer file without a normalizer or prefix space is needed")
+    added = spec.get("added_tokens", [])
+    if any(t.get("single_word") or t.get("lstrip") or t.get("rstrip") for t in added):
+        raise ValueError("special strings that take in what stands beside them aren't known here")
     tokenizer = Tokenizer.from_str(text)
     tokenizer.no_truncation()
     tokenizer.no_padding()
-    lengths = np.zeros(tokenizer.get_vocab_size(with_added_tokens=True) + 1, np.int64)
-    for token, i in tokenizer.get_vocab(with_added_tokens=True).items():
-        lengths[i] = len(token)  # byte-level: a character for each byte
-    special = [t["content"] for t in spec.get("added_tokens", [])]
-    odd = re.compile("|".join([f"[{WIDE_SPACE}]", *map(re.escape, special)]))
-    return tokenizer, lengths, odd
-
-
-def count_units(path: str, units: list[bytes]) -> np.ndarray:
-    """Tokens of each unit; one call for all that start with white space and hold something after it."""
-    tokenizer, lengths, _ = _tokenizer(path)
-    counts = np.zeros(len(units), np.int64)
-    space = b" \t\n\r\x0b\x0c"
-    joint = [i for i, u in enumerate(units) if u[0] in space and u[-1] not in space]
-    alone = sorted(set(range(len(units))) - set(joint))
-    for start in range(0, len(joint), 20000):
-        part = joint[start: start + 20000]
-        ids = np.asarray(tokenizer.encode(b"".join([units[i] for i in part]).decode(), add_special_tokens=False).ids, np.int64)
-        ends = np.cumsum(lengths[ids])
-        bounds = np.cumsum([len(units[i]) for i in part])
-        at = np.searchsorted(ends, bounds, "left")
-        if len(ends) and (ends[at] != bounds).any():
-            raise RuntimeError("a token crosses two units")
-        counts[part] = np.diff(np.concatenate(([-1], at)))
-    for start in range(0, len(alone), 5000):
-        part = alone[start: start + 5000]
-        counts[part] = [len(e.ids) for e in tokenizer.encode_batch([units[i].decode() for i in part], add_special_tokens=False)]
-    return counts
-
-
-class UnitCounts:
-    """Counts of units by hash, in sorted arrays of bounded size."""
-
-    def __init__(self, path: str, most: int = 1_000_000):
-        self.path, self.most = path, most
-        self.keys, self.counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-
-    def of(self, hashes: np.ndarray, starts: np.ndarray, ends: np.ndarray, data: np.ndarray) -> np.ndarray:
-        distinct, first, back = np.unique(hashes, return_index=True, return_inverse=True)
-        at = np.searchsorted(self.keys, distinct)
-        known = np.zeros(len(distinct), bool)
-        inside = at < len(self.keys)
-        known[inside] = self.keys[at[inside]] == distinct[inside]
-        counts = np.zeros(len(distinct), np.int64)
-        counts[known] = self.counts[at[known]]
-        new = np.flatnonzero(~known)
-        if len(new):
-            raw = data.tobytes()
-            counts[new] = count_units(self.path, [raw[a:b] for a, b in zip(starts[first[new]].tolist(), ends[first[new]].tolist())])
-            if len(self.keys) + len(new) > self.most:
-                self.keys, self.counts = distinct, counts
-            else:
-                keys = np.concatenate((self.keys, distinct[new]))
-                order = np.argsort(keys, kind="stable")
-                self.keys, self.counts = keys[order], np.concatenate((self.counts, counts[new]))[order]
-        return counts[back]
-
-
-def units(data: np.ndarray, offsets: np.ndarray, lo: int, hi: int) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and ends of the units in data[lo:hi], which cover it; a unit ends where a word or a document ends."""
-    _, ends = word_spans(data, offsets, lo, hi)
-    limits = offsets[(offsets > lo) & (offsets < hi)]
-    cuts = np.unique(np.concatenate((ends, limits, [lo, hi])))
-    return cuts[:-1], cuts[1:]
-
-
-def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    special = re.compile("|".join(re.escape(t["content"]) for t in sorted(added, key=lambda t: -len(t["content"])))) if added else None
+    return tokenizer, special
+
+
+def pre_tokens(path: str, text: str) -> tuple[list[str], int]:
+    """The pre-tokens of a text in order, and how many special strings it holds."""
+    tokenizer, special = _tokenizer(path)
+    segments = special.split(text) if special is not None and special.search(text) else [text]
+    out: list[str] = []
+    for s in segments:
+        if _settled.fullmatch(s):
+            out += _pattern.findall(s)
+        else:
+            out += [s[a:b] for _, (a, b) in tokenizer.pre_tokenizer.pre_tokenize_str(s)]
+    return out, len(segments) - 1
+
+
+def count_pieces(path: str, pieces: list[str]) -> list[int]:
+    """Tokens of each pre-token."""
+    tokenizer = _tokenizer(path)[0]
+    out: list[int] = []
+    for start in range(0, len(pieces), 5000):
+        out += [len(e) for e in tokenizer.encode_batch(pieces[start: start + 5000], add_special_tokens=False)]
+    return out
+
+
+def vocabulary(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame:
+    """(piece, n, tokens): each distinct pre-token, its frequency in the corpus, its pieces."""
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: Counter = Counter()
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            items = list(held.items())
+            for i in range(0, len(items), 20_000):
+                yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in items[i: i + 20_000]], t) for k, t in ((0, pa.string()), (1, pa.int64()))], ["piece", "n"])
+            held.clear()
+
+        for rows in gathered(batches, 4 << 20):
+            for text in rows.column("text").to_pylist():
+                held.update(pre_tokens(path, text)[0])
+                if len(held) > _MOST_HELD:
+                    yield from flush()
+        yield from flush()
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            tokens = pa.array(count_pieces(path, batch.column("piece").to_pylist()), pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns, tokens], ["piece", "n", "tokens"])
+
+    found = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text")).mapInArrow(read, "piece string, n long")
+    return found.groupBy("piece").agg(F.sum("n").alias("n")).mapInArrow(count, "piece string, n long, tokens long")
+
+
+def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT, hot_bytes: int = HOT_BYTES) -> DataFrame:
     """(id, n_bytes, n_tokens) for each row."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokenizer, _, odd = _tokenizer(path)
-        table = UnitCounts(path)
+    words = reliable(vocabulary(docs, path, text_col))
+    frequent = words.where(F.octet_length("piece") <= hot_bytes).orderBy(F.desc("n"), "piece").limit(hot).select("piece", "tokens")
+    known = docs.sparkSession.sparkContext.broadcast({r["piece"]: r["tokens"] for r in frequent.collect()})
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = known.value
         for rows in gathered(batches, 4 << 20):
-            data, offsets = text_bytes(rows.column("text"))
-            n = len(offsets) - 1
-            sums = np.zeros(n, np.int64)
-            texts = rows.column("text").to_pylist()
-            whole = np.array([bool(t) and odd.search(t) is not None for t in texts], bool)
-            for lo, hi in _text_pieces(data, offsets):
-                starts, ends = units(data, offsets, lo, hi)
-                doc = np.searchsorted(offsets, starts, "right") - 1
-                use = ~whole[doc]
-                starts, ends, doc = starts[use], ends[use], doc[use]
-                if len(starts):
-                    np.add.at(sums, doc, table.of(span_hashes(data, starts, ends), starts - lo, ends - lo, data[lo:hi]))
-            for i in np.flatnonzero(whole):
-                sums[i] = len(tokenizer.encode(texts[i], add_special_tokens=False).ids)
-            yield pa.RecordBatch.from_arrays([rows.column("id").combine_chunks(), pa.array(np.diff(offsets)), pa.array(sums)], ["id", "n_bytes", "n_tokens"])
-
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).mapInArrow(run, "id long, n_bytes long, n_tokens long")
-
-
-def _text_pieces(data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int]]:
-    """As pieces(), but each ends where a unit does: after a word, before the white space that follows."""
-    lo, n = 0, len(data)
-    for _, hi in pieces(data, 1 << 20):
-        if hi < n:
-            _, ends = word_spans(data, offsets, lo, hi)
-            inner = offsets[(offsets > lo) & (offsets <= hi)]
-            hi = max([int(ends[-1])] * bool(len(ends)) + [int(inner[-1])] * bool(len(inner)), default=lo)
-            if hi <= lo:
-                continue
-        yield lo, hi
-        lo = hi
-    if lo < n:
-        yield lo, n
+            sizes, sums, rare = [], [], []
+            for text in rows.column("text").to_pylist():
+                found, total = pre_tokens(path, text)
+                others = []
+                for piece, n in Counter(found).items():
+                    tokens = table.get(piece)
+                    if tokens is None:
+                        others.append({"piece": piece, "n": n})
+                    else:
+                        total += n * tokens
+                sizes.append(len(text.encode()))
+                sums.append(total)
+                rare.append(others)
+            kind = pa.list_(pa.struct([("piece", pa.string()), ("n", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([rows.column("id").combine_chunks(), pa.array(sizes, pa.int64()), pa.array(sums, pa.int64()), pa.array(rare, kind)], ["id", "n_bytes", "known", "rare"])
+
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    rows = reliable(texts.mapInArrow(read, "id long, n_bytes long, known long, rare array<struct<piece:string,n:bigint>>").withColumn("row", F.monotonically_increasing_id()))
+    rare = rows.select("row", F.explode("rare").alias("x")).select("row", "x.piece", "x.n").join(words.select("piece", "tokens"), "piece")
+    parts = rows.select("row", "id", "n_bytes", F.col("known").alias("n_tokens"))
+    parts = parts.unionAll(rare.select("row", F.lit(None).cast("long"), F.lit(0).cast("long"), F.col("n") * F.col("tokens")))
+    return parts.groupBy("row").agg(F.max("id").alias("id"), F.sum("n_bytes").alias("n_bytes"), F.sum("n_tokens").alias("n_tokens")).drop("row")
