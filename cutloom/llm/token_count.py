@@ -32,14 +32,14 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import gathered, reliable
+from cutloom.llm.common import gathered, stored
 
 #: Fixed value: the pre-token pattern of the byte-level tokenizer files.
 PRE_TOKENS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 #: Characters whose classes all Unicode versions since 7.0 agree on; a text with others is cut by the library itself.
 SETTLED = "[\x00-\x1b\x20-\u04ff\u2000-\u2064]*"
 #: The bound of the table that travels: entries, and bytes of one.
-HOT, HOT_BYTES = 1 << 16, 256
+HOT, HOT_BYTES = 1 << 18, 256
 _MOST_HELD = 200_000
 
 _pattern = regex.compile(PRE_TOKENS)
@@ -119,11 +119,28 @@ def vocabulary(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame:
     return found.groupBy("piece").agg(F.sum("n").alias("n")).mapInArrow(count, "piece string, n long, tokens long")
 
 
+def frequent(words: DataFrame, most: int = HOT, most_bytes: int = HOT_BYTES) -> dict[str, int]:
+    """Pieces of the most frequent short pre-tokens: all from the least frequency on that leaves at most ``most``.
+
+    Frequencies are found through a histogram in steps of an eighth of a power
+    of two, so no more than ``most`` entries ever reach the driver.
+    """
+    step = F.floor(8 * F.log2("n")).cast("int")
+    short = words.where(F.octet_length("piece") <= most_bytes)
+    sizes = sorted(((r["step"], r["c"]) for r in short.groupBy(step.alias("step")).agg(F.count(F.lit(1)).alias("c")).collect()), reverse=True)
+    least, total = None, 0
+    for at, c in sizes:
+        total += c
+        if total > most:
+            break
+        least = at
+    return {} if least is None else {r["piece"]: r["tokens"] for r in short.where(step >= least).select("piece", "tokens").collect()}
+
+
 def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT, hot_bytes: int = HOT_BYTES) -> DataFrame:
     """(id, n_bytes, n_tokens) for each row."""
-    words = reliable(vocabulary(docs, path, text_col))
-    frequent = words.where(F.octet_length("piece") <= hot_bytes).orderBy(F.desc("n"), "piece").limit(hot).select("piece", "tokens")
-    known = docs.sparkSession.sparkContext.broadcast({r["piece"]: r["tokens"] for r in frequent.collect()})
+    words = stored(vocabulary(docs, path, text_col))
+    known = docs.sparkSession.sparkContext.broadcast(frequent(words, hot, hot_bytes))
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = known.value
@@ -145,7 +162,7 @@ def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
             yield pa.RecordBatch.from_arrays([rows.column("id").combine_chunks(), pa.array(sizes, pa.int64()), pa.array(sums, pa.int64()), pa.array(rare, kind)], ["id", "n_bytes", "known", "rare"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    rows = reliable(texts.mapInArrow(read, "id long, n_bytes long, known long, rare array<struct<piece:string,n:bigint>>").withColumn("row", F.monotonically_increasing_id()))
+    rows = stored(texts.mapInArrow(read, "id long, n_bytes long, known long, rare array<struct<piece:string,n:bigint>>").withColumn("row", F.monotonically_increasing_id()))
     rare = rows.select("row", F.explode("rare").alias("x")).select("row", "x.piece", "x.n").join(words.select("piece", "tokens"), "piece")
     parts = rows.select("row", "id", "n_bytes", F.col("known").alias("n_tokens"))
     parts = parts.unionAll(rare.select("row", F.lit(None).cast("long"), F.lit(0).cast("long"), F.col("n") * F.col("tokens")))
