@@ -7,35 +7,40 @@ document itself, else no n-gram of it could be unseen.  A document's score is
 the sum over its tokens of round(10^6 * log10(score)), a long, so that sums are
 exact in any order.
 
-The relations, column-packed: the n-grams of a block of documents are exploded
-once, as sorted 64-bit hashes with counts, cut by hash range into one row for
-each (range, block).  Grouped by range they make the count table of that range;
-the totals go back to (block, range), are joined to the block's exploded
-n-grams, and are summed per document.  Each n-gram moves in about seven bytes
-instead of a row of its own.  Ranges are sized from the corpus, so a task holds
-a bounded share of the count table; a hot n-gram is one entry per block.
+The relations, column-packed.  Documents are dealt to blocks by a hash, so a
+block is a set of documents that any recomputation finds again, whatever the
+order of its rows; compressed, they move once, in a shuffle that both readers
+share.  A block's n-grams are exploded, made distinct and cut by hash range: one
+row for each (range, block) with sorted 64-bit hashes and counts.  Grouped by
+range they are the count table of that range; its totals are joined back to the
+blocks (a co-group by block) and summed per document.  An n-gram moves in about
+six bytes instead of a row of its own; a hot n-gram is one entry per block.
+
+Blocks and ranges grow with the root of the corpus where a message would
+otherwise hold fewer than ``MESSAGE`` n-grams (from some 250 GB on), so messages
+grow in proportion to the n-grams at every size.
 
 Defined results: null and empty texts have no tokens and score 0; repeated rows
-are documents of their own; an empty table gives no rows.
+are documents of their own; a very long text is a block's only large one and is
+scored whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
-import io
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 import zstandard
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import gathered, hashed_words, mix, text_bytes
+from cutloom.llm.common import gathered, hashed_words, mix, shuffle_partitions, text_bytes
 
 BACKOFF, ORDER = 0.4, 3
-_SCORED_BYTES = 2 << 20
+_SCORED_BYTES, _PACKED_BYTES = 2 << 20, 16 << 20
+#: The fewest n-grams that a message is to hold on average.
+MESSAGE = 512
 _ORDER_KEYS = [np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3), np.uint64(0x1D8E4E27C47D124F)]
 
 
@@ -62,15 +67,25 @@ def unpack_sorted(blob: bytes) -> np.ndarray:
     return np.cumsum(unpack(blob), dtype=np.uint64)
 
 
-def _freeze(table: pa.Table) -> bytes:
-    sink = io.BytesIO()
-    with pa.ipc.new_stream(sink, table.schema) as out:
-        out.write_table(table)
-    return zstandard.ZstdCompressor(level=6).compress(sink.getbuffer())
+def freeze(ids: pa.Array, texts: pa.Array) -> bytes:
+    """Documents as compressed columns."""
+    data, offsets = text_bytes(texts)
+    valid = np.asarray(ids.is_valid()).astype(np.uint8)
+    raw = b"".join([np.int64(len(ids)).tobytes(), np.asarray(ids.fill_null(0), np.int64).tobytes(), valid.tobytes(), np.diff(offsets).astype(np.int64).tobytes(), data.tobytes()])
+    return zstandard.ZstdCompressor(level=6).compress(raw)
 
 
-def _thaw(blob: bytes) -> pa.Table:
-    return pa.ipc.open_stream(zstandard.ZstdDecompressor().decompress(blob, max_output_size=1 << 31)).read_all()
+def thaw(blobs: list[bytes]) -> pa.Table:
+    """(id, text) of the documents of some blobs."""
+    tables = []
+    for blob in blobs:
+        raw = zstandard.ZstdDecompressor().decompress(blob)
+        n = int(np.frombuffer(raw, np.int64, 1)[0])
+        ids, valid, sizes = np.frombuffer(raw, np.int64, n, 8), np.frombuffer(raw, np.uint8, n, 8 + 8 * n), np.frombuffer(raw[8 + 9 * n: 8 + 17 * n], np.int64)
+        offsets = np.concatenate(([0], np.cumsum(sizes))).astype(np.int64)
+        texts = pa.LargeStringArray.from_buffers(n, pa.py_buffer(offsets.tobytes()), pa.py_buffer(raw[8 + 17 * n:]))
+        tables.append(pa.table({"id": pa.array(ids, pa.int64(), mask=valid == 0), "text": texts}))
+    return pa.concat_tables(tables).combine_chunks()
 
 
 # --- n-grams of a block -------------------------------------------------------
@@ -105,45 +120,39 @@ def range_of(hashes: np.ndarray, ranges: int) -> np.ndarray:
     return ((hashes >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)
 
 
-def _requests(order: int, ranges: int, block_bytes: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part = TaskContext.get().partitionId()
-        for k, table in enumerate(gathered(batches, block_bytes)):
-            frozen = _freeze(table)
-            block = xxhash.xxh64_intdigest(frozen, (part * 1_000_003 + k) & (2**63 - 1)) >> 2
-            grams, inside, _ = exploded(table, order)
-            keys, counts = _distinct(grams, inside)
-            places = range_of(keys, ranges)
-            cuts = np.searchsorted(places, np.arange(ranges + 1, dtype=np.uint64))
-            tokens = len(grams[0])
-            out = [(ranges + block % (1 << 40), block, tokens, frozen, None)]
-            for r in np.flatnonzero(np.diff(cuts)).tolist():
-                a, b = cuts[r], cuts[r + 1]
-                out.append((r, block, 0, pack_sorted(keys[a:b]), pack(counts[a:b].astype(np.uint64))))
-            for i in range(0, len(out), 256):
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out[i: i + 256]), (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()))], ["key", "block", "tokens", "grams", "counts"])
+def _packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(block, docs) from (id, text, block): what a task holds of a block, in one value for every few megabytes read."""
+    for rows in gathered(batches, _PACKED_BYTES):
+        block = np.asarray(rows.column("block"), np.int64)
+        order = np.argsort(block, kind="stable")
+        cuts = [0, *(np.flatnonzero(np.diff(block[order])) + 1).tolist(), len(block)]
+        for a, b in zip(cuts, cuts[1:]):
+            some = rows.take(pa.array(order[a:b]))
+            blob = freeze(some.column("id").combine_chunks(), some.column("text"))
+            yield pa.RecordBatch.from_arrays([pa.array([int(block[order[a]])], pa.int64()), pa.array([blob], pa.binary())], ["block", "docs"])
+
+
+def _requests(order: int, ranges: int):
+    """A block's distinct n-grams with their counts, cut by hash range."""
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        keys, counts = _distinct(*exploded(thaw(table.column("docs").to_pylist()), order)[:2])
+        cuts = np.searchsorted(range_of(keys, ranges), np.arange(ranges + 1, dtype=np.uint64))
+        held = np.flatnonzero(np.diff(cuts)).tolist()
+        grams = [pack_sorted(keys[cuts[r]: cuts[r + 1]]) for r in held]
+        each = [pack(counts[cuts[r]: cuts[r + 1]].astype(np.uint64)) for r in held]
+        return pa.table({"place": pa.array(held, pa.int64()), "block": pa.array([key[0].as_py()] * len(held), pa.int64()), "grams": pa.array(grams, pa.binary()), "counts": pa.array(each, pa.binary())})
 
     return run
 
 
-_MESSAGE = "block long, place long, payload binary"
-
-
-def _count_range(ranges: int):
-    """The count table of one hash range, answered to each block; texts pass through."""
-    def answer(key: tuple, table: pa.Table) -> pa.Table:
-        blocks, place = table.column("block").to_pylist(), key[0].as_py()
-        payload = table.column("grams").to_pylist()
-        if place >= ranges:
-            return pa.table({"block": pa.array(blocks, pa.int64()), "place": pa.array([-1] * len(blocks), pa.int64()), "payload": pa.array(payload, pa.binary())})
-        keys = [unpack_sorted(x) for x in payload]
-        counts = np.concatenate([unpack(x) for x in table.column("counts").to_pylist()])
-        _, back = np.unique(np.concatenate(keys), return_inverse=True)
-        totals = np.bincount(back, weights=counts.astype(np.float64)).astype(np.uint64)[back]
-        cuts = np.cumsum([0, *map(len, keys)])
-        return pa.table({"block": pa.array(blocks, pa.int64()), "place": pa.array([place] * len(blocks), pa.int64()), "payload": pa.array([pack(totals[a:b]) for a, b in zip(cuts, cuts[1:])], pa.binary())})
-
-    return answer
+def _count_range(key: tuple, table: pa.Table) -> pa.Table:
+    """The count table of one hash range, answered to each block."""
+    keys = [unpack_sorted(x) for x in table.column("grams").to_pylist()]
+    counts = np.concatenate([unpack(x) for x in table.column("counts").to_pylist()])
+    _, back = np.unique(np.concatenate(keys), return_inverse=True)
+    totals = np.bincount(back, weights=counts.astype(np.float64)).astype(np.uint64)[back]
+    cuts = np.cumsum([0, *map(len, keys)])
+    return pa.table({"block": table.column("block"), "place": table.column("place"), "totals": pa.array([pack(totals[a:b]) for a, b in zip(cuts, cuts[1:])], pa.binary())})
 
 
 def score_tokens(grams: list[np.ndarray], inside: list[np.ndarray], docs: np.ndarray, keys: np.ndarray, totals: np.ndarray, tokens: int, n_docs: int, backoff: float) -> dict[str, np.ndarray]:
@@ -177,25 +186,20 @@ def score_tokens(grams: list[np.ndarray], inside: list[np.ndarray], docs: np.nda
     return out | {"score_micro": total}
 
 
-def _score_block(order: int, ranges: int, backoff: float, tokens: int):
-    def score(table: pa.Table) -> pa.Table:
-        place, payload = np.asarray(table.column("place")), table.column("payload").to_pylist()
-        texts = [payload[i] for i in np.flatnonzero(place < 0)]
-        answers = {int(p): payload[i] for i, p in enumerate(place) if p >= 0}
+def _score_block(order: int, backoff: float, tokens: int):
+    def score(held: pa.Table, answers: pa.Table) -> pa.Table:
+        docs_table = thaw(held.column("docs").to_pylist())
+        keys = _distinct(*exploded(docs_table, order)[:2])[0]
+        places, blobs = np.asarray(answers.column("place")), answers.column("totals").to_pylist()
+        totals = np.concatenate([np.zeros(0, np.uint64), *[unpack(blobs[i]) for i in np.argsort(places)]])
+        if len(totals) != len(keys):
+            raise RuntimeError("a block's n-grams and the counts answered to it differ")
         out = []
-        for frozen in texts:
-            docs_table = _thaw(frozen)
-            keys = _distinct(*exploded(docs_table, order)[:2])[0]
-            totals = np.concatenate([unpack(answers[p]) for p in sorted(answers)]) if answers else np.zeros(0, np.uint64)
-            if len(totals) != len(keys):
-                raise RuntimeError("a block's n-grams changed between two reads of its documents")
-            # documents need only the totals, so they are scored a few at a time
-            for some in gathered(iter(docs_table.to_batches()), _SCORED_BYTES):
-                grams, inside, docs = exploded(some, order)
-                sums = score_tokens(grams, inside, docs, keys, totals, tokens, some.num_rows, backoff)
-                out.append(pa.table({"id": some.column("id"), **{k: pa.array(v, pa.int64()) for k, v in sums.items()}}))
-        if not out:
-            raise RuntimeError("a block's texts are missing")
+        # documents need only the totals, so they are scored a few at a time
+        for some in gathered(iter(docs_table.to_batches()), _SCORED_BYTES):
+            grams, inside, docs = exploded(some, order)
+            sums = score_tokens(grams, inside, docs, keys, totals, tokens, some.num_rows, backoff)
+            out.append(pa.table({"id": some.column("id"), **{k: pa.array(v, pa.int64()) for k, v in sums.items()}}))
         return pa.concat_tables(out)
 
     return score
@@ -214,7 +218,20 @@ def corpus_size(docs: DataFrame) -> tuple[int, int]:
     return row["words"] or 0, row["size"] or 0
 
 
-def backoff_scores(docs: DataFrame, order: int = ORDER, backoff: float = BACKOFF, block_bytes: int = 16 << 20, range_bytes: int = 8 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def sized(size: int, block_bytes: int, range_bytes: int) -> tuple[int, int]:
+    """Numbers of blocks and of ranges for a corpus of ``size`` bytes."""
+    grow = max(1.0, (MESSAGE * size / (block_bytes * range_bytes)) ** 0.5)
+    return max(1, int(-(-size // (block_bytes * grow)))), max(1, int(-(-size // (range_bytes * grow))))
+
+
+def in_blocks(rows: DataFrame, blocks: int) -> DataFrame:
+    """(block, docs), dealt by block.  The partition takes part in the hash, so that equal rows of many partitions are no hot block."""
+    dealt = rows.withColumn("block", F.pmod(F.xxhash64("id", "text", F.spark_partition_id()), F.lit(blocks)))
+    parts = max(1, min(blocks, 4 * shuffle_partitions(rows.sparkSession)))
+    return dealt.mapInArrow(_packed, "block long, docs binary").repartition(parts, "block")
+
+
+def backoff_scores(docs: DataFrame, order: int = ORDER, backoff: float = BACKOFF, block_bytes: int = 12 << 20, range_bytes: int = 8 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_tokens, n_unseen, n_full, score_micro) for each row.
 
     n_unseen: tokens that no other document has; n_full: tokens scored at the
@@ -224,7 +241,8 @@ def backoff_scores(docs: DataFrame, order: int = ORDER, backoff: float = BACKOFF
         raise ValueError(f"order must be 1 to {len(_ORDER_KEYS)}")
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     tokens, size = corpus_size(rows)
-    ranges = max(1, -(-size // range_bytes))
-    asked = rows.mapInArrow(_requests(order, ranges, block_bytes), "key long, block long, tokens long, grams binary, counts binary")
-    answered = asked.groupBy("key").applyInArrow(_count_range(ranges), _MESSAGE)
-    return answered.groupBy("block").applyInArrow(_score_block(order, ranges, backoff, tokens), "id long, n_tokens long, n_unseen long, n_full long, score_micro long")
+    blocks, ranges = sized(size, block_bytes, range_bytes)
+    held = in_blocks(rows, blocks)
+    asked = held.groupBy("block").applyInArrow(_requests(order, ranges), "place long, block long, grams binary, counts binary")
+    answered = asked.groupBy("place").applyInArrow(_count_range, "block long, place long, totals binary")
+    return held.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(_score_block(order, backoff, tokens), "id long, n_tokens long, n_unseen long, n_full long, score_micro long")
