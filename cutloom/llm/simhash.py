@@ -3,33 +3,38 @@
 ``fingerprints`` gives each document 64 bits; ``near_pairs`` links distinct
 fingerprints exactly; ``components`` joins links into groups.
 
-How pairs are found.  Five bit bands cover the 64 bits, so two fingerprints at
-distance 4 or less agree on one band (five bands, four differences): a band
-value is a shard whose members lie at band distance zero.  A shard beyond
-``capacity`` members is cut into rings by the Hamming distance to its vantage
-point (its smallest member); a ring queries itself and the ``radius`` rings
-beyond its boundary, which by the triangle inequality hold every partner.
-Inside a shard a vantage-point tree is grown with median splits, and a branch
-is visited only where the triangle bound lets it hold a partner.  Each shard
-reports a spanning forest of its links, which keeps connectivity; so a group of
-thousands of near copies yields links in proportion to its members.
+How pairs are found.  Two fingerprints at distance 4 or less are at distance 2
+or less in one of their halves, so each half is searched with half the radius,
+where the triangle inequality prunes far more.  For each half a vantage-point
+tree is grown on a sample of at most ``SAMPLE`` distinct fingerprints, down to
+shards of about ``SHARD`` members; every fingerprint goes down both trees, by
+its Hamming distance to the vantage points, into the one shard that is its home
+and, as a visitor, into each shard whose boundary lies within the radius.  A
+shard grows its own tree over its members and sends all visitors down it; a
+branch is visited only where the triangle bound lets it hold a partner, and
+leaves compare whole fingerprints.  A pair is met in the home shard of either
+end, so none is lost.  Shards report spanning forests of their links, which keep
+connectivity; so a group of thousands of near copies yields links in proportion
+to its members.
 
 Defined results: null or empty texts and texts without words have fingerprint
 zero and link like any other; repeated rows share their fingerprint; rows with
-a null id get a fingerprint but no component (null).
+a null id get a fingerprint but no component (null); a very long text is
+fingerprinted whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import gathered, reliable, text_bytes
+from cutloom.llm.common import gathered, reliable, shuffle_partitions, text_bytes
 
 SEED = 42
 
@@ -76,128 +81,205 @@ def fingerprints(docs: DataFrame, size: int = 5, id_col: str = "doc_id", text_co
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long")
 
 
-# --- vantage-point trees inside a shard --------------------------------------
+# --- vantage-point trees ------------------------------------------------------
 
-class _Forest:
-    """Union-find over positions; keeps the links that joined two trees."""
+#: Distinct fingerprints that the routing trees are grown on, members of a shard, members of a leaf, visitors held at once.
+SAMPLE, SHARD, LEAF, VISITORS = 1 << 16, 1 << 15, 64, 1 << 20
+_HALF = np.uint64(0xFFFFFFFF)
+
+
+class Forest:
+    """Connected sets of positions; keeps the links that joined two of them."""
 
     def __init__(self, n: int):
-        self.up, self.links = list(range(n)), []
-
-    def root(self, x: int) -> int:
-        while self.up[x] != x:
-            self.up[x] = self.up[self.up[x]]
-            x = self.up[x]
-        return x
-
-    def link(self, a: int, b: int) -> None:
-        x, y = self.root(a), self.root(b)
-        if x != y:
-            self.up[max(x, y)] = min(x, y)
-            self.links.append((a, b))
-
-
-def _compare(fps: np.ndarray, own: np.ndarray, others: np.ndarray, radius: int, forest: _Forest) -> None:
-    for start in range(0, len(others), 4096):
-        part = others[start: start + 4096]
-        for low in range(0, len(own), 512):
-            mine = own[low: low + 512]
-            close = np.bitwise_count(fps[mine][:, None] ^ fps[part][None, :]) <= radius
-            if close.any():
-                i, j = np.nonzero(close)
-                for a, b in zip(mine[i].tolist(), part[j].tolist()):
-                    if a != b:
-                        forest.link(a, b)
-
-
-def tree_links(fps: np.ndarray, own: np.ndarray, visitors: np.ndarray, radius: int, forest: _Forest, leaf: int = 256) -> None:
-    """Link each position of ``own`` with those of ``visitors`` (which hold ``own``) within the radius.
-
-    ``own`` is split at the median distance to a vantage point; a visitor goes
-    to a side if the triangle bound lets it have a partner there.
+        self.up, self.links = np.arange(n), []
+
+    def roots(self) -> np.ndarray:
+        while True:
+            above = self.up[self.up]
+            if (above == self.up).all():
+                return above
+            self.up = above
+
+    def link(self, a: np.ndarray, b: np.ndarray) -> None:
+        while len(a):
+            top = self.roots()
+            x, y = top[a], top[b]
+            apart = x != y
+            a, b, x, y = a[apart], b[apart], x[apart], y[apart]
+            high, first = np.unique(np.maximum(x, y), return_index=True)  # each higher root takes one link to a lower one
+            self.up[high] = np.minimum(x, y)[first]
+            self.links += zip(a[first].tolist(), b[first].tolist())
+
+
+@dataclass
+class Node:
+    """A ball and what lies outside it, by the distance of one measure; or a leaf with its shard."""
+
+    measure: int = 0
+    vantage: np.uint64 = np.uint64(0)
+    middle: int = 0
+    inner: Node | None = None
+    outer: Node | None = None
+    shard: int = -1
+
+
+def measures(fps: np.ndarray, half: int) -> tuple[np.ndarray, np.ndarray]:
+    """The half that a tree searches, and the whole fingerprint for sets that agree in it."""
+    return (fps >> np.uint64(32) if half else fps & _HALF), fps
+
+
+def distance(values: np.ndarray, vantage: np.uint64) -> np.ndarray:
+    return np.bitwise_count(values ^ vantage).astype(np.int16)
+
+
+def split(values: tuple[np.ndarray, np.ndarray], own: np.ndarray) -> tuple[int, np.uint64, int]:
+    """(measure, vantage, middle) of the evenest of a few ball cuts of ``own``; both sides hold members if they aren't all equal."""
+    best, evenest = (1, values[1][own[0]], 0), -1
+    for k in (0, 1):
+        for at in {0, len(own) // 3, 2 * len(own) // 3, len(own) - 1}:
+            vantage = values[k][own[at]]
+            d = distance(values[k][own], vantage)
+            for middle in {int(np.median(d)), int(np.median(d)) - 1}:
+                side = int((d <= middle).sum())
+                if min(side, len(own) - side) > evenest:
+                    best, evenest = (k, vantage, middle), min(side, len(own) - side)
+        if 4 * evenest >= len(own):
+            break
+    return best
+
+
+def grown(fps: np.ndarray, half: int, members: float) -> tuple[Node, int]:
+    """A routing tree over a sample, cut until a leaf has at most ``members`` of it; and the number of leaves."""
+    values, shards = measures(fps, half), 0
+    root = Node()
+    work = [(root, np.arange(len(fps)))]
+    while work:
+        node, own = work.pop()
+        if len(own) <= max(members, 1):
+            node.shard, shards = shards, shards + 1
+            continue
+        node.measure, node.vantage, node.middle = split(values, own)
+        inside = distance(values[node.measure][own], node.vantage) <= node.middle
+        node.inner, node.outer = Node(), Node()
+        work += [(node.inner, own[inside]), (node.outer, own[~inside])]
+    return root, shards
+
+
+def reach(measure: int, radius: int) -> int:
+    """How far apart in a measure two fingerprints can be that this half must find."""
+    return radius if measure else radius // 2
+
+
+def route(fps: np.ndarray, half: int, root: Node, radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(shard, positions, whether it is their home) of all shards."""
+    values = measures(fps, half)
+    work = [(root, np.arange(len(fps)), np.ones(len(fps), bool))]
+    while work:
+        node, some, home = work.pop()
+        if node.shard >= 0:
+            yield node.shard, some, home
+            continue
+        d, r = distance(values[node.measure][some], node.vantage), reach(node.measure, radius)
+        for child, near, own in ((node.inner, d <= node.middle + r, d <= node.middle), (node.outer, d > node.middle - r, d > node.middle)):
+            if near.any():
+                work.append((child, some[near], home[near] & own[near]))
+
+
+def tree_links(fps: np.ndarray, half: int, own: np.ndarray, visitors: np.ndarray, radius: int, forest: Forest, leaf: int = LEAF) -> dict[str, int]:
+    """Link each position of ``own`` with those of ``visitors`` within the radius, so far as this half must find them.
+
+    Returns how many leaves were reached and how many pairs were compared there.
     """
+    values, did = measures(fps, half), {"leaves": 0, "compared": 0}
     work = [(own, visitors)]
     while work:
         own, visitors = work.pop()
+        if not len(visitors):
+            continue
         if len(own) <= leaf:
-            _compare(fps, own, visitors, radius, forest)
+            did["leaves"] += 1
+            did["compared"] += len(own) * len(visitors)
+            for at in range(0, len(visitors), 1 << 15):
+                part = visitors[at: at + (1 << 15)]
+                i, j = np.nonzero(np.bitwise_count(fps[own][:, None] ^ fps[part][None, :]) <= radius)
+                forest.link(own[i], part[j])
             continue
-        vantage = fps[own[len(own) // 2]]
-        d_own = np.bitwise_count(fps[own] ^ vantage).astype(np.int16)
-        middle = int(np.median(d_own))
-        inner = d_own <= middle
-        if inner.all():
-            inner = d_own < middle
-            middle -= 1
-        if not inner.any():  # all at one distance: cut by position, which loses nothing
-            half = len(own) // 2
-            work += [(own[:half], visitors), (own[half:], visitors)]
+        k, vantage, middle = split(values, own)
+        r = reach(k, radius)
+        inside, d = distance(values[k][own], vantage) <= middle, distance(values[k][visitors], vantage)
+        if inside.all() or not inside.any():  # equal fingerprints alone: cut by position, which loses nothing
+            work += [(own[: len(own) // 2], visitors), (own[len(own) // 2:], visitors)]
             continue
-        d_vis = np.bitwise_count(fps[visitors] ^ vantage).astype(np.int16)
-        work.append((own[inner], visitors[d_vis <= middle + radius]))
-        work.append((own[~inner], visitors[d_vis > middle - radius]))
+        work += [(own[inside], visitors[d <= middle + r]), (own[~inside], visitors[d > middle - r])]
+    return did
 
 
-def _shard_links(radius: int):
-    """mapInArrow over partitions sorted by shard: whole shards are cut out of the stream."""
-    def flush(fp: np.ndarray, home: np.ndarray) -> list[tuple[int, int]]:
-        if len(fp) < 2 or not home.any():
-            return []
-        forest = _Forest(len(fp))
-        tree_links(fp, np.flatnonzero(home), np.arange(len(fp)), radius, forest)
-        return [(fp[a], fp[b]) for a, b in forest.links]
+def _shard_links(radius: int, leaf: int, most: int):
+    """mapInArrow over (shard, guest, fp, id) sorted by shard and guest: members come first, then visitors a chunk at a time."""
+    def met(half: int, members: np.ndarray, guests: np.ndarray) -> Iterator[pa.RecordBatch]:
+        rows = np.concatenate([members, guests], axis=1)
+        forest = Forest(rows.shape[1])
+        tree_links(rows[0].view(np.uint64), half, np.arange(members.shape[1]), np.arange(rows.shape[1]) if guests.shape[1] == 0 else np.arange(members.shape[1], rows.shape[1]), radius, forest, leaf)
+        if forest.links:
+            ends = rows[1][np.array(forest.links)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(ends[:, i])) for i in (0, 1)], ["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
+        none = np.zeros((2, 0), np.int64)
+        shard, members, guests, closed = None, none, none, False
+
+        def flush(last: bool) -> Iterator[pa.RecordBatch]:
+            nonlocal members, guests, closed
+            if members.shape[1] and (closed or last):
+                if not closed:
+                    yield from met(shard & 1, members, none)
+                if guests.shape[1]:
+                    yield from met(shard & 1, members, guests)
+
         for batch in batches:
             rows = np.stack([np.asarray(batch.column(i)).astype(np.int64) for i in range(4)])
-            if held:
-                rows = np.concatenate([*held, rows], axis=1)
-            cuts = np.flatnonzero((np.diff(rows[0]) != 0) | (np.diff(rows[1]) != 0)) + 1
-            if not len(cuts):
-                held = [rows]
-                continue
-            found: list[tuple[int, int]] = []
-            bounds = [0, *cuts.tolist()]
-            for a, b in zip(bounds, bounds[1:]):
-                if b - a > 1:
-                    found += flush(rows[2, a:b].view(np.uint64), rows[3, a:b] == 1)
-            held = [rows[:, bounds[-1]:].copy()]
-            if found:
-                yield _links(found)
-        if held and (found := flush(np.concatenate(held, axis=1)[2].view(np.uint64), np.concatenate(held, axis=1)[3] == 1)):
-            yield _links(found)
-
-    def _links(found: list[tuple[int, int]]) -> pa.RecordBatch:
-        both = np.array(found, np.uint64).view(np.int64)
-        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1]))], ["a", "b"])
+            cuts = [0, *(np.flatnonzero((np.diff(rows[0]) != 0) | (np.diff(rows[1]) != 0)) + 1).tolist(), rows.shape[1]]
+            for a, b in zip(cuts, cuts[1:]):
+                if rows[0, a] != shard:
+                    yield from flush(True)
+                    shard, members, guests, closed = int(rows[0, a]), none, none, False
+                if rows[1, a] == 0:
+                    members = np.concatenate([members, rows[2:, a:b]], axis=1)
+                    continue
+                if not closed:
+                    yield from met(shard & 1, members, none)
+                    closed = True
+                guests = np.concatenate([guests, rows[2:, a:b]], axis=1)
+                if guests.shape[1] >= most:
+                    yield from flush(False)
+                    guests = none
+        yield from flush(True)
 
     return run
 
 
-def bands(radius: int) -> list[tuple[int, int]]:
-    """(shift, mask) of radius + 1 bit bands that cover 64 bits."""
-    k = radius + 1
-    cuts = [64 * i // k for i in range(k + 1)]
-    return [(a, (1 << (b - a)) - 1) for a, b in zip(cuts, cuts[1:])]
-
+def near_pairs(distinct: DataFrame, radius: int = 4, shard: int = SHARD, leaf: int = LEAF, sample: int = SAMPLE, most: int = VISITORS) -> DataFrame:
+    """Links (a, b) of ids among distinct (fp, id), whose closure is that of all pairs within the radius.
 
-def near_pairs(distinct: DataFrame, radius: int = 4, capacity: int = 20000) -> DataFrame:
-    """Links (a, b) among the distinct ``fp`` whose closure is that of all pairs within the radius."""
-    cut = F.array(*[F.struct(F.lit(i).alias("band"), F.shiftrightunsigned("fp", s).bitwiseAND(F.lit(m)).alias("value")) for i, (s, m) in enumerate(bands(radius))])
-    members = distinct.select("fp", F.explode(cut).alias("s")).select("fp", (F.col("s.value") * (radius + 1) + F.col("s.band")).alias("shard"))
-    large = members.groupBy("shard").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("vantage")).where(F.col("n") > capacity).select("shard", "vantage")
-    placed = members.join(large, "shard", "left")
-    distance = F.bit_count(F.col("fp").bitwiseXOR(F.col("vantage"))).cast("long")
-    ring = F.explode(F.when(F.col("vantage").isNull(), F.array(F.lit(-1).cast("long"))).otherwise(F.sequence(F.greatest(distance - radius, F.lit(0).cast("long")), distance)))
-    rows = placed.select("shard", ring.alias("ring"), "fp", "vantage").select(
-        "shard", "ring", "fp", F.when(F.col("vantage").isNull() | (F.col("ring") == distance), 1).otherwise(0).cast("long").alias("home"))
-    parts = shuffle_count(distinct)
-    return rows.repartition(parts, "shard", "ring").sortWithinPartitions("shard", "ring", "fp").mapInArrow(_shard_links(radius), "a long, b long")
+    The sample is a share of the fingerprints by their hash; it only decides
+    where shards are cut.
+    """
+    n = distinct.count()
+    share = min(1.0, sample / max(n, 1))
+    rows = distinct.select("fp").where(F.pmod(F.xxhash64("fp"), F.lit(1 << 20)) < int(share * (1 << 20)) + 1).collect()
+    taken = np.sort(np.array([r["fp"] for r in rows], np.int64)).view(np.uint64)
+    trees = [grown(taken, half, max(shard * len(taken) / max(n, 1), 8 if share < 1 else 1)) for half in (0, 1)]
 
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps, ids = np.asarray(batch.column("fp"), np.int64).view(np.uint64), batch.column("id")
+            for half, (root, _) in enumerate(trees):
+                for number, some, home in route(fps, half, root, radius):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), 2 * number + half)), pa.array((~home).astype(np.int64)), pa.array(fps[some].view(np.int64)), ids.take(pa.array(some))], ["shard", "guest", "fp", "id"])
 
-def shuffle_count(df: DataFrame) -> int:
-    return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = distinct.select("fp", "id").mapInArrow(place, "shard long, guest long, fp long, id long")
+    return placed.repartition(shuffle_partitions(distinct.sparkSession), "shard").sortWithinPartitions("shard", "guest").mapInArrow(_shard_links(radius, leaf, most), "a long, b long")
 
 
 # --- connected components ----------------------------------------------------
@@ -226,15 +308,11 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, radius: int = 4, id_col: str = "doc_id", text_col: str = "text", capacity: int = 20000) -> DataFrame:
+def near_duplicates(docs: DataFrame, size: int = 5, radius: int = 4, id_col: str = "doc_id", text_col: str = "text", shard: int = SHARD) -> DataFrame:
     """(id, fp, component) for each row; component is the smallest id reachable over links."""
     marked = reliable(fingerprints(docs, size, id_col, text_col))
-    classes = marked.where("id is not null").groupBy("fp").agg(F.min("id").alias("first"))
-    pairs = near_pairs(classes.select("fp"), radius, capacity)
-    first = classes.select("fp", "first")
-    links = (pairs.join(first.select(F.col("fp").alias("a"), F.col("first").alias("fa")), "a")
-             .join(first.select(F.col("fp").alias("b"), F.col("first").alias("fb")), "b").select(F.col("fa").alias("a"), F.col("fb").alias("b")))
-    roots = components(links)
+    first = marked.where("id is not null").groupBy("fp").agg(F.min("id").alias("first"))
+    roots = components(near_pairs(first.select("fp", F.col("first").alias("id")), radius, shard))
     named = first.join(roots, F.col("first") == F.col("node"), "left").select("fp", F.coalesce("root", "first").alias("component"))
     return marked.join(named, "fp", "left").select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component"))
 
@@ -250,8 +328,6 @@ def deduplicated(docs: DataFrame, size: int = 5, radius: int = 4) -> DataFrame:
 def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
     """The rows of ``docs`` whose id is the component of ``groups`` (id, component), one for each; and those with a null id."""
     chosen = groups.where("id = component").select(F.col("component").alias("__keep")).distinct()
-    from pyspark.sql import Window
-
     kept = docs.join(chosen, docs["doc_id"] == F.col("__keep"), "inner")
     order = Window.partitionBy("__keep").orderBy(*[F.col(c) for c, t in docs.dtypes if not t.startswith("map")])
     kept = kept.withColumn("__n", F.row_number().over(order)).where("__n = 1").drop("__n", "__keep")

@@ -150,8 +150,8 @@ def _fingerprint(text, size):
 
 
 def test_simhash(rows, docs):
-    for capacity in (20000, 3):
-        out = simhash.near_duplicates(docs, size=4, radius=4, capacity=capacity).collect()
+    for shard in (simhash.SHARD, 3):
+        out = simhash.near_duplicates(docs, size=4, radius=4, shard=shard).collect()
         assert len(out) == len(rows)
         fps = {r[0]: _fingerprint(r[1], 4) for r in rows if r[0] is not None}
         ids = sorted(fps)
@@ -181,20 +181,31 @@ def test_simhash_clusters(spark):
     centres = [rng.getrandbits(64) for _ in range(6)]
     fps = {c ^ sum(1 << rng.randrange(64) for _ in range(rng.randint(0, 5))) & (2**64 - 1) for c in centres for _ in range(120)} | {rng.getrandbits(64) for _ in range(200)}
     fps = sorted(fps)
-    df = spark.createDataFrame([(x - (1 << 64) if x >> 63 else x,) for x in fps], "fp long")
-    for capacity in (20000, 40):
-        links = [(a & (2**64 - 1), b & (2**64 - 1)) for a, b in simhash.near_pairs(df, 4, capacity).collect()]
-        assert all((a ^ b).bit_count() <= 4 for a, b in links)
-        forest = simhash._Forest(len(fps))
-        at = {x: i for i, x in enumerate(fps)}
-        for a, b in links:
-            forest.link(at[a], at[b])
-        full = simhash._Forest(len(fps))
-        for i, a in enumerate(fps):
-            for j in range(i):
-                if (a ^ fps[j]).bit_count() <= 4:
-                    full.link(i, j)
-        assert [forest.root(i) for i in range(len(fps))] == [full.root(i) for i in range(len(fps))]
+    signed = [x - (1 << 64) if x >> 63 else x for x in fps]
+    df = spark.createDataFrame(list(zip(signed, range(len(fps)))), "fp long, id long")
+    full = simhash.Forest(len(fps))
+    wide = np.array(fps, np.uint64)
+    full.link(*np.nonzero(np.bitwise_count(wide[:, None] ^ wide[None, :]) <= 4))
+    for shard, leaf, sample, most in ((1 << 15, 64, 1 << 16, 1 << 20), (40, 4, 1 << 16, 1 << 20), (40, 4, 90, 7), (1, 1, 300, 50)):
+        links = simhash.near_pairs(df, 4, shard, leaf, sample, most).collect()
+        assert all((fps[r["a"]] ^ fps[r["b"]]).bit_count() <= 4 for r in links)
+        forest = simhash.Forest(len(fps))
+        forest.link(np.array([r["a"] for r in links]), np.array([r["b"] for r in links]))
+        assert (forest.roots() == full.roots()).all()
+    assert simhash.near_pairs(df.limit(0)).count() == 0
+
+
+def test_branches_are_pruned():
+    """Of random fingerprints a visitor is compared with few; the two halves together with fewer than half of all."""
+    fps = np.random.default_rng(7).integers(0, 1 << 63, 20_000, dtype=np.uint64) * np.uint64(2)
+    every = np.arange(len(fps))
+    did = [simhash.tree_links(fps, half, every, every, 4, simhash.Forest(len(fps))) for half in (0, 1)]
+    assert all(d["leaves"] > 200 for d in did)
+    assert sum(d["compared"] for d in did) < 0.35 * len(fps) ** 2
+    root, shards = simhash.grown(fps, 0, 1000)
+    sent = list(simhash.route(fps, 0, root, 4))
+    assert len(sent) == shards and sum(int(home.sum()) for _, _, home in sent) == len(fps)
+    assert all(len(some) < len(fps) for _, some, _ in sent)
 
 
 def test_components_on_a_long_path(spark):
