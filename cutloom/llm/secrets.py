@@ -4,20 +4,23 @@ A pattern's matches are bracketed with noncharacters by one replacement; the
 pieces between brackets give the code point positions.  Candidate strings for
 the entropy are long runs of token characters that hold a digit and a letter.
 For each character class, one fold over a candidate's characters keeps the
-counts of the last ``WINDOW`` characters of the class: the incoming and the
-outgoing character change the sum of c * log2(c) by table entries, in millionths
-of a bit, so results are integers.  A candidate whose window reaches a class's
+counts of the last ``WINDOW`` characters of the class, five bits each in a few
+longs: the incoming and the outgoing character change one count each and the sum
+of c * log2(c) by table entries, in millionths of a bit, so results are integers.  A candidate whose window reaches a class's
 entropy adds a span, unless the allow list knows it.  Patterns' spans are cut out
 of it, and the pieces left that hold such a window stay.
 
 Defined results: null texts count as empty and have no spans; noncharacters
 U+FDD0 to U+FDD2 of a text are read as another character, which moves nothing;
-repeated rows are scanned each.
+repeated rows are scanned each; a very long text, candidate or row of matches is
+scanned whole, in time that grows little more than in proportion; an empty table
+gives no rows.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -73,18 +76,43 @@ def _pieces(text: Column, lead: str, secret: str) -> Column:
     return F.split(F.regexp_replace(text, f"({lead})({secret})", f"{_OPEN}$1{_MIDDLE}$2{_CLOSE}"), _OPEN)
 
 
+CHUNK = 128
+
+
+def running(values: Column, op: Callable[[Column, Column], Column]) -> Column:
+    """For each of an array of longs: ``op`` over all before it, from 0.
+
+    Chunks are folded alone and then shifted by what lies before them, since a
+    fold that appends copies all it has: n * CHUNK / 2 steps instead of n * n / 2.
+    """
+    zero = F.lit(0).cast("long")
+
+    def fold(items: Column, start: Column) -> Column:
+        first = F.struct(start.alias("at"), F.array().cast("array<bigint>").alias("out"))
+        return F.aggregate(items, first, lambda a, x: F.struct(op(a["at"], x).alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")), lambda a: a["out"])
+
+    chunks = F.transform(F.sequence(F.lit(0), F.greatest(F.ceil(F.size(values) / CHUNK).cast("int") - 1, F.lit(0))), lambda k: F.slice(values, k * CHUNK + 1, CHUNK))
+
+    def shifted(c: Column) -> Column:
+        return let(fold(F.transform(c, lambda x: F.aggregate(x, zero, op)), zero), lambda heads: F.flatten(F.transform(c, lambda x, i: fold(x, F.get(heads, i)))))
+
+    return let(chunks, shifted)
+
+
 def _matches(text: Column, lead: str, secret: str) -> Column:
     """array<struct<start, end, secret>> of all matches, by position."""
     def walk(p: Column) -> Column:
-        first = F.struct(F.length(p[0]).alias("at"), F.array().cast("array<struct<start:int,end:int,secret:string>>").alias("found")).cast("struct<at:int,found:array<struct<start:int,end:int,secret:string>>>")
+        rest = F.slice(p, 2, F.greatest(F.size(p) - 1, F.lit(0)))
 
-        def step(a: Column, x: Column) -> Column:
-            match = F.substring_index(x, _CLOSE, 1)
-            end = a["at"] + F.length(match) - 1
-            one = F.struct(a["at"].alias("start"), end.alias("end"), F.substring_index(match, _MIDDLE, -1).alias("secret"))
-            return F.struct((a["at"] + F.length(x) - 2).alias("at"), F.concat(a["found"], F.array(one)).alias("found")).cast("struct<at:int,found:array<struct<start:int,end:int,secret:string>>>")
+        def placed(before: Column) -> Column:
+            def one(x: Column, i: Column) -> Column:
+                start = (F.length(p[0]) + F.get(before, i)).cast("int")
+                match = F.substring_index(x, _CLOSE, 1)
+                return F.struct(start.alias("start"), (start + F.length(match) - 1).alias("end"), F.substring_index(match, _MIDDLE, -1).alias("secret"))
 
-        return F.aggregate(F.slice(p, 2, F.greatest(F.size(p) - 1, F.lit(0))), first, step, lambda a: a["found"])
+            return F.transform(rest, one)
+
+        return let(running(F.transform(rest, lambda x: (F.length(x) - 2).cast("long")), lambda a, x: a + x), placed)
 
     none = F.array().cast("array<struct<start:int,end:int,secret:string>>")
     return F.when(text.rlike(f"{lead}{secret}"), let(_pieces(text, lead, secret), walk)).otherwise(none)
@@ -99,86 +127,108 @@ def pattern_spans(text: Column, kind: int, pattern: Pattern) -> Column:
     return F.transform(found, lambda m: F.struct(m["start"].alias("start"), F.lit(kind).alias("kind"), m["end"].alias("end"))).cast(_SPANS)
 
 
-_FOLD = "struct<counts:array<int>,sum:bigint,run:int,at:int,first:int,last:int>"
+_PER_LONG = 12  # counts of five bits
 
 
-def entropy_extent(text: Column, alphabet: str, least: int) -> Column:
-    """struct<first, last>: from the first to the last window of the class that reaches ``least``; first is -1 for none."""
+def entropy_extent(chars: Column, alphabet: str, least: int) -> Column:
+    """struct<first, last> of an array of characters: from the first to the last window of the class that reaches ``least``; first is -1 for none."""
     gain = F.array(*[F.lit(_weigh(c + 1) - _weigh(c)).cast("bigint") for c in range(WINDOW + 1)])
     limit = math.floor(1e6 * WINDOW * math.log2(WINDOW)) - 1000 * WINDOW * least
-    zeros = F.array_repeat(F.lit(0), len(alphabet))
+    none = F.array_repeat(F.lit(0).cast("long"), -(-len(alphabet) // _PER_LONG))
+    # a character's place: the long that holds its count, times 64, and the bit where it starts
+    place = {ord(c): i // _PER_LONG * 64 + i % _PER_LONG * 5 for i, c in enumerate(alphabet)}
+    table = F.array(*[F.lit(place.get(c, -1)) for c in range(128)])
+    slot, bit = lambda k: F.shiftright(k, 6), lambda k: k.bitwiseAND(63)
+    unit = lambda k, j: F.when(slot(k) == j, F.call_function("shiftleft", F.lit(1).cast("long"), bit(k))).otherwise(F.lit(0).cast("long"))
 
-    def code(i: Column) -> Column:
-        return F.position(F.substring(text, i + 1, F.lit(1)), F.lit(alphabet)) - 1
+    def step(a: Column, x: Column) -> Column:
+        count = lambda k: F.call_function("shiftright", F.get(a["counts"], slot(k)), bit(k)).bitwiseAND(31).cast("int")
+        k, o, full = x["k"], x["o"], a["run"] >= WINDOW
+        grown = a["sum"] + F.get(gain, count(k))
+        total = F.when(full, grown - F.get(gain, count(o) + F.when(o == k, 0).otherwise(-1))).otherwise(grown)
 
-    def step(a: Column, _: Column) -> Column:
-        def moved(k: Column) -> Column:
-            def with_out(o: Column) -> Column:
-                c_in = F.get(a["counts"], k)
-                after_in = a["sum"] + F.get(gain, c_in)
-                c_out = F.when(o >= 0, F.get(a["counts"], o) + F.when(o == k, 1).otherwise(0))
-                total = F.when(o >= 0, after_in - F.get(gain, c_out - 1)).otherwise(after_in)
-                full = a["run"] + 1 >= WINDOW
-                hit = full & (total <= limit)
-                counts = F.transform(a["counts"], lambda x, j: x + F.when(j == k, 1).otherwise(0) - F.when(j == o, 1).otherwise(0))
-                return F.struct(counts.alias("counts"), total.alias("sum"), (a["run"] + 1).alias("run"), (a["at"] + 1).alias("at"),
-                                F.when(hit & (a["first"] < 0), a["at"] - WINDOW + 1).otherwise(a["first"]).alias("first"), F.when(hit, a["at"] + 1).otherwise(a["last"]).alias("last")).cast(_FOLD)
+        def moved(t: Column) -> Column:
+            hit = (a["run"] + 1 >= WINDOW) & (t <= limit)
+            counts = F.when(full, F.transform(a["counts"], lambda w, j: w + unit(k, j) - unit(o, j))).otherwise(F.transform(a["counts"], lambda w, j: w + unit(k, j)))
+            return F.struct(counts.alias("counts"), t.alias("sum"), (a["run"] + 1).alias("run"), (a["at"] + 1).alias("at"), F.when(hit & (a["first"] < 0), a["at"] - WINDOW + 1).otherwise(a["first"]).alias("first"), F.when(hit, a["at"] + 1).otherwise(a["last"]).alias("last"))
 
-            reset = F.struct(zeros.alias("counts"), F.lit(0).alias("sum"), F.lit(0).alias("run"), (a["at"] + 1).alias("at"), a["first"].alias("first"), a["last"].alias("last")).cast(_FOLD)
-            return F.when(k < 0, reset).otherwise(let(F.when(a["run"] >= WINDOW, code(a["at"] - WINDOW)).otherwise(-1), with_out))
+        reset = F.struct(none.alias("counts"), F.lit(0).cast("long").alias("sum"), F.lit(0).alias("run"), (a["at"] + 1).alias("at"), a["first"].alias("first"), a["last"].alias("last"))
+        return F.when(k < 0, reset).otherwise(let(total, moved))
 
-        return let(code(a["at"]), moved)
+    first = F.struct(none.alias("counts"), F.lit(0).cast("long").alias("sum"), F.lit(0).alias("run"), F.lit(0).alias("at"), F.lit(-1).alias("first"), F.lit(-1).alias("last"))
 
-    first = F.struct(zeros.alias("counts"), F.lit(0).alias("sum"), F.lit(0).alias("run"), F.lit(0).alias("at"), F.lit(-1).alias("first"), F.lit(-1).alias("last")).cast(_FOLD)
-    return F.aggregate(F.sequence(F.lit(1), F.length(text)), first, step, lambda a: F.struct(a["first"].alias("first"), a["last"].alias("last")))
+    def folded(codes: Column) -> Column:
+        pairs = F.transform(codes, lambda k, i: F.struct(k.alias("k"), F.get(codes, i - WINDOW).alias("o")))
+        return F.aggregate(pairs, first, step, lambda a: F.struct(a["first"].alias("first"), a["last"].alias("last")))
 
+    return let(F.transform(chars, lambda c: F.coalesce(F.get(table, F.ascii(c)), F.lit(-1))), folded)
 
-def entropy_spans(text: Column, kind: int, allowed: list[str] = ALLOWED) -> Column:
-    """Spans of candidate strings with a window of high entropy, before the base's spans are taken out."""
+
+def candidates(text: Column, allowed: list[str] = ALLOWED) -> Column:
+    """array<struct<at, chars, first, last>>: the candidate strings with a window of high entropy, and its extent in the text."""
     found = _matches(text, "", CANDIDATE)
     found = F.filter(found, lambda m: m["secret"].rlike("[0-9]") & m["secret"].rlike("[A-Za-z]"))
     if allowed:
         found = F.filter(found, lambda m: ~m["secret"].rlike("|".join(f"(?:{x})" for x in allowed)))
 
     def extents(m: Column) -> Column:
-        each = F.array(*[entropy_extent(m["secret"], alphabet, least) for _, alphabet, least in CLASSES])
-        return let(F.filter(each, lambda e: e["first"] >= 0), lambda e: F.when(F.size(e) > 0, F.struct((m["start"] + F.array_min(F.transform(e, lambda x: x["first"]))).alias("start"), F.lit(kind).alias("kind"), (m["start"] + F.array_max(F.transform(e, lambda x: x["last"]))).alias("end"))))
+        def of(chars: Column) -> Column:
+            each = F.array(*[entropy_extent(chars, alphabet, least) for _, alphabet, least in CLASSES])
+            hit = F.struct(m["start"].alias("at"), chars.alias("chars"))
+            return let(F.filter(each, lambda e: e["first"] >= 0), lambda e: F.when(F.size(e) > 0, F.struct(hit["at"].alias("at"), hit["chars"].alias("chars"), (m["start"] + F.array_min(F.transform(e, lambda x: x["first"]))).alias("first"), (m["start"] + F.array_max(F.transform(e, lambda x: x["last"]))).alias("last"))))
+
+        return let(F.split(m["secret"], ""), of)
+
+    return F.filter(F.transform(found, extents), lambda s: s.isNotNull())
 
-    return F.filter(F.transform(found, extents), lambda s: s.isNotNull()).cast(_SPANS)
 
+def _first_index(spans: Column, test: Callable[[Column], Column]) -> Column:
+    """The first index of a span for which ``test`` holds, as it does for all after it; by halving."""
+    first = F.struct(F.lit(0).alias("low"), F.size(spans).alias("high"))
+
+    def step(a: Column, _: Column) -> Column:
+        middle = F.shiftright(a["low"] + a["high"], 1)
+        here = test(F.get(spans, middle))
+        return F.when(a["low"] >= a["high"], a).otherwise(F.struct(F.when(here, a["low"]).otherwise(middle + 1).alias("low"), F.when(here, middle).otherwise(a["high"]).alias("high")))
+
+    return F.aggregate(F.sequence(F.lit(0), F.ceil(F.log2(F.size(spans) + 1.0)).cast("int")), first, step, lambda a: a["low"])
 
-def _outside(span: Column, base: Column) -> Column:
-    """The pieces of a span that no span of ``base`` (sorted) touches."""
-    state = f"struct<at:int,out:{_SPANS}>"
 
+def _touching(c: Column, spans: Column) -> Column:
+    """The spans of one pattern, which are in order and apart, that touch the extent of a candidate."""
+    low = _first_index(spans, lambda x: x["end"] > c["first"])
+    return F.when(F.size(spans) == 0, spans).otherwise(let(low, lambda at: F.slice(spans, at + 1, F.greatest(_first_index(spans, lambda x: x["start"] >= c["last"]) - at, F.lit(0)))))
+
+
+def _outside(c: Column, kind: int, base: Column) -> Column:
+    """The pieces of a candidate's extent that no span of ``base`` (sorted) touches and that hold a window of high entropy."""
     def with_piece(a: Column, end: Column) -> Column:
-        return F.concat(a["out"], F.array(F.struct(a["at"].alias("start"), span["kind"].alias("kind"), end.alias("end"))))
+        return F.concat(a["out"], F.array(F.struct(a["at"].alias("start"), F.lit(kind).alias("kind"), end.alias("end"))))
 
     def step(a: Column, x: Column) -> Column:
-        out = F.when(x["start"] > a["at"], with_piece(a, x["start"])).otherwise(a["out"])
-        return F.when((x["start"] < span["end"]) & (x["end"] > a["at"]), F.struct(x["end"].alias("at"), out.alias("out")).cast(state)).otherwise(a)
+        return F.struct(F.greatest(a["at"], x["end"]).alias("at"), F.when(x["start"] > a["at"], with_piece(a, x["start"])).otherwise(a["out"]).alias("out"))
 
-    first = F.struct(span["start"].alias("at"), F.array().cast(_SPANS).alias("out")).cast(state)
-    return F.aggregate(base, first, step, lambda a: F.when(a["at"] < span["end"], with_piece(a, span["end"])).otherwise(a["out"]))
+    first = F.struct(c["first"].alias("at"), F.array().cast(_SPANS).alias("out"))
+    pieces = F.aggregate(base, first, step, lambda a: F.when(a["at"] < c["last"], with_piece(a, c["last"])).otherwise(a["out"]))
 
+    def hot(s: Column) -> Column:
+        part = F.slice(c["chars"], s["start"] - c["at"] + 1, s["end"] - s["start"])
+        return (s["end"] - s["start"] >= WINDOW) & let(part, lambda x: F.exists(F.array(*[entropy_extent(x, alphabet, least)["first"] for _, alphabet, least in CLASSES]), lambda f: f >= 0))
 
-def _is_hot(text: Column, s: Column) -> Column:
-    """Whether a window of high entropy lies inside the span."""
-    piece = F.substring(text, s["start"] + 1, s["end"] - s["start"])
-    return (s["end"] - s["start"] >= WINDOW) & let(piece, lambda p: F.exists(F.array(*[entropy_extent(p, alphabet, least)["first"] for _, alphabet, least in CLASSES]), lambda x: x >= 0))
+    return F.when(F.size(base) == 0, F.array(F.struct(c["first"].alias("start"), F.lit(kind).alias("kind"), c["last"].alias("end")))).otherwise(F.filter(pieces, hot))
 
 
 def scan(text: Column) -> Column:
     """struct<base, all>: sorted spans of the patterns, and with those of the entropy."""
     def of(t: Column) -> Column:
-        base = F.concat(*[pattern_spans(t, i, p) for i, p in enumerate(PATTERNS)])
+        kinds = F.array(*[pattern_spans(t, i, p) for i, p in enumerate(PATTERNS)])
 
-        def with_base(b: Column) -> Column:
-            left = lambda s: F.filter(_outside(s, b), lambda x: ((x["start"] == s["start"]) & (x["end"] == s["end"])) | _is_hot(t, x))
-            fresh = F.flatten(F.transform(entropy_spans(t, len(PATTERNS)), left))
-            return F.struct(b.alias("base"), F.sort_array(F.concat(b, fresh)).alias("all"))
+        def with_kinds(k: Column) -> Column:
+            touching = lambda c: F.sort_array(F.concat(*[_touching(c, F.get(k, F.lit(i))) for i in range(len(PATTERNS))]))
+            fresh = F.flatten(F.transform(candidates(t), lambda c: let(touching(c), lambda b: _outside(c, len(PATTERNS), b))))
+            return let(F.sort_array(F.flatten(k)), lambda b: F.struct(b.alias("base"), F.sort_array(F.concat(b, fresh)).alias("all")))
 
-        return let(F.sort_array(base), with_base)
+        return let(kinds, with_kinds)
 
     return let(clean(text), of)
 
@@ -197,17 +247,27 @@ def scanned(docs: DataFrame, text_col: str = "text") -> DataFrame:
 def redacted(docs: DataFrame) -> DataFrame:
     """``docs`` (documents columns) with each secret replaced by its kind in brackets; n_chars follows."""
     names = F.array(*[F.lit(f"[{p.kind}]") for p in PATTERNS], F.lit(f"[{ENTROPY}]"))
-    state = "struct<at:int,out:array<string>>"
 
-    def step(a: Column, s: Column) -> Column:
-        add = F.concat(a["out"], F.array(F.substring(F.col("text"), a["at"] + 1, s["start"] - a["at"]), F.get(names, s["kind"])))
-        return F.when(s["start"] >= a["at"], F.struct(s["end"].alias("at"), add.alias("out")).cast(state)).otherwise(F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out")).cast(state))
+    def told(spans: Column) -> Column:
+        ends = F.transform(spans, lambda s: s["end"].cast("long"))
+
+        def shortened(chars: Column) -> Column:
+            def joined(before: Column) -> Column:
+                # a span that begins inside an earlier one belongs to it
+                part = lambda s, at: F.when(s["start"] >= at, F.concat(F.array_join(F.slice(chars, at + 1, s["start"] - at), ""), F.get(names, s["kind"]))).otherwise("")
+                last = F.array_max(ends).cast("int")
+                return F.concat(F.array_join(F.transform(spans, lambda s, i: part(s, F.get(before, i).cast("int"))), ""), F.array_join(F.slice(chars, last + 1, F.greatest(F.size(chars) - last, F.lit(0))), ""))
+
+            return let(running(ends, lambda a, x: F.greatest(a, x)), joined)
+
+        return let(F.split(F.col("text"), ""), shortened)
 
-    first = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out")).cast(state)
-    told = F.aggregate(F.col("__spans.all"), first, step, lambda a: F.concat(F.array_join(a["out"], ""), F.substring(F.col("text"), a["at"] + 1, F.length("text"))))
     columns = docs.columns
-    out = scanned(docs).withColumn("text", F.when(F.size("__spans.all") > 0, told).otherwise(F.col("text")))
+    packed = docs.select(F.struct(*columns).alias("row"), F.col("text"))
+    marked = scanned(packed)
+    found = F.size("__spans.all") > 0
+    out = marked.withColumn("clean", F.when(found, told(F.col("__spans.all"))).otherwise(F.col("text")))
+    new = {"text": F.col("clean")}
     if "n_chars" in columns:
-        kind = docs.schema["n_chars"].dataType
-        out = out.withColumn("n_chars", F.when(F.size("__spans.all") > 0, F.length("text").cast(kind)).otherwise(F.col("n_chars")))
-    return out.select(*columns)
+        new["n_chars"] = F.when(found, F.length("clean").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
+    return out.select(*[new.get(c, F.col("row")[c]).alias(c) for c in columns])
