@@ -12,10 +12,12 @@ next, the longest prefix within the rest, in an order by a seeded hash of the
 document id and the epoch.  The prefix is found in two steps, hash buckets
 first and then the one bucket in which it ends, so a leaf that holds a third of
 all rows never meets in one task.  Joins of rows with their leaf are salted.
+Words are counted once; the counts are stored in the shared folder.
 
 Defined results: null or empty texts have no tokens and are kept once if their
 leaf has none; null level values are the node ``none``; rows with equal ids
-stand or fall together; an empty table gives no rows.
+stand or fall together; a very long text counts whole; an empty table gives no
+rows; columns of the input may have any names, as it travels in one struct.
 """
 
 from __future__ import annotations
@@ -23,11 +25,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import SPACE_PATTERN, shuffle_partitions
+from cutloom.llm.common import SPACE_PATTERN, shuffle_partitions, stored
 
 #: The weights of the query and the pipeline; others weigh 1.
 WEIGHTS = {"domain": {"web": 4, "news": 3, "forum": 2, "other": 1}, "lang": {"en": 4, "de": 2, "fr": 2, "es": 2}, "source": {}}
-SEED, EPOCHS, SHARE, BITS = 17, 2, 800, 10
+#: 2^BITS hash buckets a leaf: the one bucket that a window sorts holds that share of the leaf's rows.
+SEED, EPOCHS, SHARE, BITS = 17, 2, 800, 16
 LEVELS = ("domain", "lang", "source")
 
 
@@ -95,21 +98,22 @@ def _with_leaf(rows: DataFrame, plan: DataFrame, names: list[str], how: str = "i
 
 
 def decisions(docs: DataFrame, weights=WEIGHTS, share: int = SHARE, epochs: int = EPOCHS, seed: int = SEED, bits: int = BITS, id_col: str = "doc_id", tokens: Column | None = None) -> DataFrame:
-    """For each leaf: epochs (whole ones), and bucket and last, where the prefix of the next ends."""
+    """For each leaf: __epochs (whole ones), and __bucket and __last, where the prefix of the next ends; also __have and __budget."""
     names = [f"__{x}" for x in LEVELS]
-    rows = levels_of(docs).select(*names, F.col(id_col), (n_words(F.col("text")) if tokens is None else tokens).alias("n"))
-    leaves = rows.groupBy(*names).agg(F.sum("n").alias("have"))
+    packed = docs.select(F.col("source"), F.col("lang"), F.col(id_col).alias("__id"), (n_words(F.col("text")) if tokens is None else tokens).alias("__n"))
+    rows = stored(levels_of(packed).select(*names, "__id", "__n"))
+    leaves = rows.groupBy(*names).agg(F.sum("__n").alias("have"))
     plan = budgets(leaves, weights, share, epochs).join(leaves, names)
     whole = F.when(F.col("have") > 0, F.floor(F.col("budget") / F.when(F.col("have") > 0, F.col("have")))).otherwise(1).cast("long")
-    plan = plan.select(*names, "have", "budget", whole.alias("epochs")).withColumn("rest", F.when(F.col("have") > 0, F.col("budget") - F.col("epochs") * F.col("have")).otherwise(0))
+    plan = plan.select(*names, F.col("have").alias("__have"), F.col("budget").alias("__budget"), whole.alias("__epochs")).withColumn("__rest", F.when(F.col("__have") > 0, F.col("__budget") - F.col("__epochs") * F.col("__have")).otherwise(0))
     # every row's place in every epoch that could be the last one
-    placed = _with_leaf(rows, plan.select(*names, "epochs", "rest"), names).withColumn("o", _order(F.col("epochs"), id_col, seed)).withColumn("b", _bucket(F.col("o"), bits))
-    buckets = placed.groupBy(*names, "rest", "b").agg(F.sum("n").alias("t"))
+    placed = _with_leaf(rows, plan.select(*names, "__epochs", "__rest"), names).withColumn("o", _order(F.col("__epochs"), "__id", seed)).withColumn("b", _bucket(F.col("o"), bits))
+    buckets = placed.groupBy(*names, "__rest", "b").agg(F.sum("__n").alias("t"))
     run = Window.partitionBy(*names).orderBy("b")
-    cut = buckets.withColumn("before", F.sum("t").over(run) - F.col("t")).where("before <= rest AND rest < before + t").select(*names, F.col("b").alias("bucket"), "before")
-    inside = _with_leaf(placed, cut, names).where("b = bucket").withColumn("sum", F.sum("n").over(Window.partitionBy(*names).orderBy("o")))
-    last = inside.where("before + sum <= rest").groupBy(*names).agg(F.max("o").alias("last"))
-    return plan.join(cut.select(*names, "bucket"), names, "left").join(last, names, "left").select(*names, "have", "budget", "epochs", "bucket", "last")
+    cut = buckets.withColumn("before", F.sum("t").over(run) - F.col("t")).where("before <= __rest AND __rest < before + t").select(*names, F.col("b").alias("__bucket"), "before")
+    inside = _with_leaf(placed, cut, names).where("b = __bucket").withColumn("sum", F.sum("__n").over(Window.partitionBy(*names).orderBy("o")))
+    last = inside.where("before + sum <= __rest").groupBy(*names).agg(F.max("o").alias("__last"))
+    return plan.join(cut.select(*names, "__bucket"), names, "left").join(last, names, "left").select(*names, "__have", "__budget", "__epochs", "__bucket", "__last")
 
 
 def _bucket(o: Column, bits: int) -> Column:
@@ -117,16 +121,17 @@ def _bucket(o: Column, bits: int) -> Column:
 
 
 def copies(docs: DataFrame, plan: DataFrame, seed: int = SEED, bits: int = BITS, id_col: str = "doc_id") -> DataFrame:
-    """``docs`` with __copies: whole epochs, and one more in the prefix."""
+    """(row: the whole input row as a struct, __domain, __lang, __source, __copies): whole epochs, and one more in the prefix."""
     names = [f"__{x}" for x in LEVELS]
-    rows = _with_leaf(levels_of(docs), plan.select(*names, "epochs", "bucket", "last"), names, "left")
-    o = _order(F.col("epochs"), id_col, seed)
+    packed = levels_of(docs.select(F.struct(*docs.columns).alias("row"), F.col("source"), F.col("lang"), F.col(id_col).alias("__id")))
+    rows = _with_leaf(packed.select("row", "__id", *names), plan.select(*names, "__epochs", "__bucket", "__last"), names, "left")
+    o = _order(F.col("__epochs"), "__id", seed)
     b = _bucket(o, bits)
-    extra = F.coalesce((b < F.col("bucket")) | ((b == F.col("bucket")) & (o <= F.col("last"))), b < F.col("bucket"), F.lit(False))
-    return rows.withColumn("__copies", F.coalesce("epochs", F.lit(0)) + extra.cast("long"))
+    extra = F.coalesce((b < F.col("__bucket")) | ((b == F.col("__bucket")) & (o <= F.col("__last"))), b < F.col("__bucket"), F.lit(False))
+    return rows.select("row", *names, (F.coalesce("__epochs", F.lit(0)) + extra.cast("long")).alias("__copies"))
 
 
 def mixed(docs: DataFrame, weights=WEIGHTS, share: int = SHARE, epochs: int = EPOCHS, seed: int = SEED) -> DataFrame:
     """The rows of ``docs`` (documents columns), each as often as it was drawn."""
     drawn = copies(docs, decisions(docs, weights, share, epochs, seed), seed).where("__copies > 0")
-    return drawn.withColumn("__k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*docs.columns)
+    return drawn.select("row", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies"))).alias("__k")).select("row.*")

@@ -54,7 +54,7 @@ def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
-    return mixing.copies(docs.drop("text"), mixing.decisions(docs)).select("doc_id", F.col("__domain").alias("domain"), F.col("__lang").alias("lang"), F.col("__source").alias("source"), F.col("__copies").alias("copies"))
+    return mixing.copies(docs.drop("text"), mixing.decisions(docs)).select("row.doc_id", F.col("__domain").alias("domain"), F.col("__lang").alias("lang"), F.col("__source").alias("source"), F.col("__copies").alias("copies"))
 
 
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:

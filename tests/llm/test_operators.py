@@ -309,9 +309,10 @@ def test_token_counts(rows, docs):
 
 def test_mixing(rows, docs):
     weights = mixing.WEIGHTS
+    order = {e: {r["doc_id"]: r["o"] for r in docs.select("doc_id", mixing._order(F.lit(e), "doc_id", mixing.SEED).alias("o")).distinct().collect()} for e in range(3)}
     for share, epochs in ((800, 2), (300, 1), (1900, 2)):
         plan = {(r["__domain"], r["__lang"], r["__source"]): r for r in mixing.decisions(docs, weights, share, epochs).collect()}
-        out = mixing.copies(docs, mixing.decisions(docs, weights, share, epochs)).select("doc_id", "text", "__domain", "__lang", "__source", "__copies").collect()
+        out = mixing.copies(docs, mixing.decisions(docs, weights, share, epochs)).select("row.doc_id", "row.text", "__domain", "__lang", "__source", "__copies").collect()
         assert len(out) == len(rows)
         have = collections.Counter()
         for r in out:
@@ -344,18 +345,39 @@ def test_mixing(rows, docs):
                 nxt |= fill(budget, kids, {k: weights[level].get(k[-1], 1) for k in kids})
             nodes = nxt
         for leaf, budget in nodes.items():
-            assert plan[leaf]["budget"] == budget, (leaf, share)
+            assert plan[leaf]["__budget"] == budget, (leaf, share)
             drawn = sum(r["__copies"] * len(_words(r["text"])) for r in out if (r["__domain"], r["__lang"], r["__source"]) == leaf)
             assert drawn <= budget or have[leaf] == 0
-            if 0 < budget < have[leaf] * epochs:
-                longest = max(len(_words(r["text"])) for r in out if (r["__domain"], r["__lang"], r["__source"]) == leaf)
-                assert drawn + 2 * longest > budget  # the prefix is the longest that fits; equal ids go together
+            # exactly: whole epochs, then ids in hash order (equal ids together) while they fit
+            mine = [r for r in out if (r["__domain"], r["__lang"], r["__source"]) == leaf]
+            whole = budget // have[leaf] if have[leaf] else 1
+            left, sizes = budget - whole * have[leaf] if have[leaf] else 0, collections.Counter()
+            for r in mine:
+                sizes[order[whole][r["doc_id"]]] += len(_words(r["text"]))
+            last, total = None, 0
+            for o in sorted(sizes):
+                total += sizes[o]
+                if total > left or not have[leaf]:
+                    break
+                last = o
+            full = sum(sizes.values()) == left
+            for r in mine:
+                o = order[whole][r["doc_id"]]
+                extra = last is not None and o <= last and not full
+                assert r["__copies"] == whole + extra, (leaf, r["doc_id"])
     assert mixing.mixed(docs).columns == docs.columns
     assert mixing.mixed(docs.limit(0)).count() == 0
     again = mixing.mixed(docs).groupBy("doc_id").count().collect()
     assert sorted(map(tuple, again), key=str) == sorted(map(tuple, mixing.mixed(docs.repartition(7)).groupBy("doc_id").count().collect()), key=str)
 
 
+def test_mixing_keeps_clashing_columns(docs):
+    odd = docs.select("doc_id", "text", "lang", "source", F.lit(7).alias("epochs"), F.lit("x").alias("bucket"), F.lit("y").alias("last"), F.lit("z").alias("__copies"), F.lit("w").alias("row"), F.lit("v").alias("__epochs"))
+    out = mixing.mixed(odd)
+    assert out.columns == odd.columns
+    assert {(r["epochs"], r["bucket"], r["last"], r["__copies"], r["row"], r["__epochs"]) for r in out.collect()} == {(7, "x", "y", "z", "w", "v")}
+
+
 def test_url_filter(spark):
     urls = [None, "", "no scheme", "http://A.Example.NET/en/1", "https://x.net/", "http://example.com/de/7?q=1", "http://sub.example.com/dex", "ftp://fr.org/fr/?", "http://org/fr/#a", "a://b://c/d", "http://notexample.net", "http://casino-win.example.org/en/5", "http://ththen.example.org/en/5", "http://multi.example.com/a\nb"]
     df = spark.createDataFrame([(i, u, "<p>", "clash") for i, u in enumerate(urls + urls[3:4])], "page_id long, url string, html string, host string")
@@ -391,11 +413,66 @@ def test_digest_of_base_spans():
 
 
 def test_url_model_on_pages():
-    """Hosts of the given pages that the table names no URL of: junk names are caught, others left alone."""
+    """No host of the given pages is in the labelled table: junk names are caught, others left alone."""
     import pyarrow.parquet as pq
 
     urls = pq.read_table("/root/testdata/sf0.1/pages.parquet", columns=["url"])["url"].to_pylist()
     parts = [url_filter.split_url(u) for u in urls]
+    name = lambda h: re.sub(r"^(www|m|blog)\.", "", h).split(".")[0]
+    assert not {name(h) for h, _ in parts} & {name(url_filter.split_url(u)[0]) for u, _ in url_filter.LABELLED}
     junk = np.array([re.search("spam|pills|casino|bets|ads-|adult", h) is not None for h, _ in parts])
     z = url_filter.trained(url_filter.LABELLED).margins([h for h, _ in parts], [p for _, p in parts]) >= 0
     assert z[junk].mean() > 0.95 and z[~junk].mean() < 0.02
+
+
+def test_url_model_against_a_plain_fit():
+    """The same regression with dictionaries and loops: same margins, same verdicts."""
+    top = (1 << 64) - 1
+
+    def slot(gram, salt):
+        h = salt * 31 + len(gram)
+        for byte in gram:
+            h = (h * 0x100000001B3 + byte + 1) & top
+        for factor in (0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53):
+            h = (h ^ h >> 33) * factor & top
+        return (h ^ h >> 33) >> 50
+
+    def features(url):
+        out = collections.defaultdict(float)
+        for salt, t in zip((1, 2), url_filter.split_url(url)):
+            framed = f"^{t}$".encode() if t else b""
+            grams = [framed[i: i + n] for n in (2, 3, 4) for i in range(len(framed) - n + 1)]
+            for g in grams:
+                out[slot(g, salt)] += len(grams) ** -0.5
+        return out
+
+    rows, weights, intercept = [(features(u), y) for u, y in url_filter.LABELLED], collections.defaultdict(float), 0.0
+    for _ in range(400):
+        gaps = [(1 / (1 + math.exp(-intercept - sum(weights[k] * x for k, x in f.items()))) - y) / len(rows) for f, y in rows]
+        step = collections.defaultdict(float)
+        for (f, _), g in zip(rows, gaps):
+            for k, x in f.items():
+                step[k] += g * x
+        for k in set(step) | set(weights):
+            weights[k] -= 10.0 * (step[k] + 1e-4 * weights[k])
+        intercept -= 10.0 * sum(gaps)
+    urls = [u for u, _ in url_filter.LABELLED] + ["http://casino-win.example.org/en/5", "http://ththen.example.org/en/5", "http://a.b/", "x"]
+    margins = url_filter.trained(url_filter.LABELLED).margins(*zip(*map(url_filter.split_url, urls)))
+    for u, m in zip(urls, margins):
+        f = features(u)
+        assert m == pytest.approx(intercept + sum(weights[k] * x for k, x in f.items()), abs=1e-6)
+
+
+def test_empty_tables(spark):
+    pages = spark.createDataFrame([], "page_id long, url string")
+    assert url_filter.judged(pages, url_filter.trained(url_filter.LABELLED)).count() == 0
+    docs = spark.createDataFrame([], "doc_id long, text string")
+    assert simhash.near_duplicates(docs).count() == 0 and sentencepiece_codec.encoded(docs, tokenizer_path("piece_bpe_32k.model")).count() == 0
+
+
+def test_very_long_texts(spark):
+    url = spark.createDataFrame([(1, "http://" + "a" * 200_000 + ".net/" + "b" * 200_000)], "page_id long, url string")
+    assert url_filter.judged(url, url_filter.trained(url_filter.LABELLED)).first()["rule"] == "net/"
+    docs = spark.createDataFrame([(1, "x" * 400_000), (2, "one two three " * 60_000)], "doc_id long, text string")
+    assert {r["id"]: r["fp"] & (2**64 - 1) for r in simhash.fingerprints(docs, 4).collect()} == {i: _fingerprint(t, 4) for i, t in ((1, "x" * 400_000), (2, "one two three " * 60_000))}
+    assert lm_score.backoff_scores(docs).count() == 2
