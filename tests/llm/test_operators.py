@@ -293,6 +293,11 @@ def test_chat(spark):
     assert [m for m in got[3, "anna", 0]["text"].split("<|end|>\n") if m] == ["<|assistant|>\na", "<|assistant|>\na", "<|assistant|>\nb"]
     assert (3, "unknown", -1) in got and (None, "user", 0) in got
     assert chat.perspectives(df.limit(0)).count() == 0
+    many = spark.createDataFrame([(1, None, "a" if i % 2 else "b", f"{i:04d}") for i in range(600)], "conv_id long, turn long, role string, text string")
+    parts = [r for r in chat.perspectives(many).collect() if r["speaker"] == "a"]
+    assert sorted((r["piece"], r["part"], r["n_turns"]) for r in parts) == [(-1, 0, 256), (-1, 1, 256), (-1, 2, 88)]
+    whole = "".join(r["text"] for r in sorted(parts, key=lambda r: r["part"]))
+    assert whole == "".join(f"<|assistant|>\n{i:04d}<|end|>\n" for i in range(1, 600, 2)) + "".join(f"<|user:b|>\n{i:04d}<|end|>\n" for i in range(0, 600, 2))
 
 
 def test_token_counts(rows, docs):
