@@ -17,10 +17,17 @@ def normalize_edges(pairs: DataFrame, a: str = "src", b: str = "dst") -> DataFra
 
 
 def reliable(df: DataFrame) -> DataFrame:
-    """Cut the lineage in the shared checkpoint folder; a local one is made only where none is set."""
+    """Cut the lineage in the shared checkpoint folder of the session.
+
+    Only a session on one machine (as in tests) gets a folder of its own where
+    none is set; on a cluster that is an error.
+    """
     spark = df.sparkSession
     if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cutloom-checkpoint-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        spark.sparkContext.setCheckpointDir(folder or tempfile.mkdtemp(prefix="cutloom-checkpoint-"))
     return df.checkpoint(eager=True)
 
 
