@@ -9,13 +9,15 @@ evaluated once each and combined linearly.
 
 from __future__ import annotations
 
-from collections import defaultdict
+from collections import Counter, defaultdict
 from fractions import Fraction
 from functools import lru_cache, reduce
+from itertools import permutations
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.storagelevel import StorageLevel
 
 from cutloom.operators.enumerate import enumerate_matchings
 from cutloom.operators.graph import Graph
@@ -23,26 +25,26 @@ from cutloom.patterns.algebra import Pattern, automorphisms, canonical_code, res
 from cutloom.patterns.catalogue import connected_patterns, pseudo_cliques, spanning_coefficients
 from cutloom.plans.cost import DEFAULT, CostModel
 from cutloom.plans.cuts import Part, grouped_collisions, part_pattern, parts
-from cutloom.plans.search import Plan, best_direct, counting_cut, greedy_order
+from cutloom.plans.search import Plan, best_direct, counting_cut, counting_plan, cut_plan, greedy_order
 
 WIDE = "decimal(38,0)"
 
 
-def part_counts(g: Graph, p: Pattern, part: Part, name: str = "cnt", replay: int = 0, limit=None) -> DataFrame:
-    """(m of each cut vertex, count of the part's matchings).
+def part_counts(g: Graph, p: Pattern, part: Part, name: str = "cnt", replay: int = 0, limit=None, order: tuple[int, ...] | None = None, as_given: bool = False) -> DataFrame:
+    """(m of each cut vertex, count of the part's matchings), enumerated in ``order`` (of the part's vertices, cut first).
 
-    A component of one vertex is never exploded further than its first edge;
-    and a vertex that no later level or key needs is grouped away on the way.
+    A pendant vertex is the degree and a wedge comes from half its rows, unless
+    ``as_given`` asks for the order's own levels.
     """
     q = part_pattern(p, part)
     k = len(part.cut)
     keys = [f"m{i}" for i in range(k)]
-    if limit is None and k == 1 and q.n == 2 and p.labels is None:  # a pendant vertex: the degree
-        return g.degrees().select(F.col("v").alias("m0"), F.col("deg").alias(name)).select(F.col("m0").alias(f"c{part.cut[0]}"), name)
-    if limit is None and _is_path_from_cut(q, k):
+    if not as_given and limit is None and k == 1 and q.n == 2 and p.labels is None:
+        return g.degrees().select(F.col("v").alias(f"c{part.cut[0]}"), F.col("deg").alias(name))
+    if not as_given and limit is None and _is_path_from_cut(q, k):
         rows = _eager(g, q, k, name)
     else:
-        order = greedy_order(q, tuple(range(k)))
+        order = order or greedy_order(q, tuple(range(k)))
         rows = enumerate_matchings(g, q, order, replay=replay, limit=limit).groupBy(*keys).agg(F.count(F.lit(1)).alias(name))
     return rows.select(*[F.col(f"m{i}").alias(f"c{part.cut[i]}") for i in range(k)], name)
 
@@ -59,21 +61,51 @@ def _eager(g: Graph, q: Pattern, k: int, name: str) -> DataFrame:
     return half.select("m0", "m1", name).unionAll(half.select(F.col("m1").alias("m0"), F.col("m0").alias("m1"), name))
 
 
-def joint(g: Graph, p: Pattern, cut: tuple[int, ...], limit_of=None) -> DataFrame:
-    """One row value: the sum over cut matches of the product of the parts' counts."""
-    tables, powers, seen = [], [], {}
+@lru_cache(maxsize=50_000)
+def part_key(q: Pattern, k: int) -> tuple[tuple, tuple[int, ...]]:
+    """(code, places): parts with one code have the same table, in which cut vertex i of this part is column places[i]."""
+    free = (None,) * (q.n - k)
+    return min(((canonical_code(q, tuple(map(str, at)) + free), at) for at in permutations(range(k))), key=repr)
+
+
+class PartTables:
+    """The tables of the parts of several counts, each made once; those used more than once are kept until release()."""
+
+    def __init__(self, g: Graph, plans: list[Plan]):
+        self.g, self.tables, self.uses = g, {}, Counter(code for plan in plans for code in {part_key(part_pattern(plan.pattern, x), len(x.cut))[0] for x in parts(plan.pattern, plan.cut)})
+
+    def of(self, plan: Plan, i: int, part: Part, name: str) -> DataFrame:
+        code, places = part_key(part_pattern(plan.pattern, part), len(part.cut))
+        if code not in self.tables:
+            order, replay = plan.part_orders[i] if plan.part_orders else None, plan.replays[i] if plan.replays else 0
+            rows = part_counts(self.g, plan.pattern, part, "__n", replay, order=order).select(*[F.col(f"c{v}").alias(f"k{at}") for v, at in zip(part.cut, places)], "__n")
+            self.tables[code] = rows.persist(StorageLevel.MEMORY_AND_DISK) if self.uses[code] > 1 else rows
+        return self.tables[code].select(*[F.col(f"k{at}").alias(f"c{v}") for v, at in zip(part.cut, places)], F.col("__n").alias(name))
+
+    def release(self) -> None:
+        for code, rows in self.tables.items():
+            if self.uses[code] > 1:
+                rows.unpersist()
+
+
+def joint(g: Graph, p: Pattern, cut: tuple[int, ...], limit_of=None, plan: Plan | None = None, tables: PartTables | None = None) -> DataFrame:
+    """One row value: the sum over cut matches of the product of the parts' counts, each part in the plan's order."""
+    frames, powers, seen = [], [], {}
     for i, part in enumerate(parts(p, cut)):
-        marks = tuple(range(len(cut))) + (None,) * len(part.component)
-        q = part_pattern(p, part)
-        key = (canonical_code(q, tuple(str(x) for x in marks)), None if limit_of is None else i)
+        q, name = part_pattern(p, part), f"n{i}"
+        key = (canonical_code(q, tuple(str(x) for x in range(len(cut))) + (None,) * len(part.component)), None if limit_of is None else i)
         if key in seen:
             powers[seen[key]] += 1
             continue
-        seen[key] = len(tables)
-        tables.append(part_counts(g, p, part, f"n{i}", limit=None if limit_of is None else limit_of(part)))
+        seen[key] = len(frames)
+        if tables is not None:
+            frames.append(tables.of(plan, i, part, name))
+        else:
+            own = {} if plan is None or not plan.part_orders else {"order": plan.part_orders[i], "replay": plan.replays[i] if plan.replays else 0}
+            frames.append(part_counts(g, p, part, name, limit=None if limit_of is None else limit_of(part), **own))
         powers.append(1)
     keys = [f"c{v}" for v in cut]
-    rows = reduce(lambda a, b: a.join(b, keys), tables)
+    rows = reduce(lambda a, b: a.join(b, keys), frames)
     names = [c for c in rows.columns if c.startswith("n")]
     wide = sum(powers) > 2
     factor = None
@@ -92,11 +124,22 @@ def _representative(code: tuple) -> Pattern:
 
 
 class Terms:
-    """Linear combinations of joint counts and clique counts, for patterns without labels."""
+    """Linear combinations of joint counts and direct counts, for patterns without labels.
+
+    Each pattern is counted the cheaper way by the model: by a cut, its
+    quotients resolved in turn, or directly under restrictions.
+    """
 
-    def __init__(self, model: CostModel = DEFAULT, cut_of=None):
-        self.model, self.cut_of = model, cut_of or (lambda p: counting_cut(p, model))
+    def __init__(self, model: CostModel = DEFAULT, cut_of=None, allow_direct: bool = True):
+        self.model, self.cut_of, self.allow_direct = model, cut_of, allow_direct
         self.known: dict[tuple, dict] = {}
+        self.plans: dict[tuple, Plan] = {}
+
+    def plan_of(self, p: Pattern) -> Plan:
+        if self.cut_of is not None:
+            cut = self.cut_of(p)
+            return best_direct(p, self.model) if cut is None else cut_plan(p, tuple(cut), self.model)
+        return counting_plan(p, self.model, self.allow_direct)
 
     def inj(self, p: Pattern) -> dict[tuple, int]:
         code = canonical_code(p)
@@ -105,14 +148,16 @@ class Terms:
         p = _representative(code)
         if p.n == 2:
             out = {("edges",): 2}
-        elif (cut := None if p.is_clique() else self.cut_of(p)) is None:
-            out = {("direct", p): len(automorphisms(p))}
+        elif (plan := self.plan_of(p)).kind == "direct":
+            self.plans[term := ("direct", p)] = plan
+            out = {term: len(automorphisms(p))}
         else:
             sums: dict[tuple, int] = defaultdict(int)
-            sums[("joint", p, tuple(cut))] += 1
-            for q, times in grouped_collisions(p, tuple(cut)):
-                for term, c in self.inj(q).items():
-                    sums[term] -= times * c
+            self.plans[term := ("joint", p, plan.cut)] = plan
+            sums[term] += 1
+            for q, times in grouped_collisions(p, plan.cut):
+                for t, c in self.inj(q).items():
+                    sums[t] -= times * c
             out = {t: c for t, c in sums.items() if c}
         self.known[code] = out
         return out
@@ -121,20 +166,20 @@ class Terms:
         return {t: Fraction(c, len(automorphisms(p))) for t, c in self.inj(p).items()}
 
 
-def term_value(g: Graph, term: tuple) -> DataFrame:
+def term_value(g: Graph, term: tuple, plan: Plan | None = None, tables: PartTables | None = None) -> DataFrame:
     """One row value."""
     if term[0] == "edges":
         return g.edges.agg(F.count(F.lit(1)).cast(WIDE).alias("value"))
     if term[0] == "direct":
-        return clique_count(g, term[1]).select(F.col("cnt").cast(WIDE).alias("value"))
-    return joint(g, term[1], term[2])
+        return clique_count(g, term[1], plan).select(F.col("cnt").cast(WIDE).alias("value"))
+    return joint(g, term[1], term[2], plan=plan, tables=tables)
 
 
-def clique_count(g: Graph, p: Pattern) -> DataFrame:
-    """Cliques (and what has no usable cut) by enumeration; cliques over arcs ordered by degree, so hubs stay light."""
+def clique_count(g: Graph, p: Pattern, plan: Plan | None = None) -> DataFrame:
+    """Cliques (and what is cheaper so) by enumeration; cliques over arcs ordered by degree, so hubs stay light."""
     if not p.is_clique():
-        plan = best_direct(p)
-        return enumerate_matchings(g, p, plan.order, pinned=restrictions(p)).agg(F.count(F.lit(1)).alias("cnt"))
+        plan = plan or best_direct(p)
+        return enumerate_matchings(g, p, plan.order, pinned=plan.pinned or restrictions(p)).agg(F.count(F.lit(1)).alias("cnt"))
     return clique_rows(g, p.n).agg(F.count(F.lit(1)).alias("cnt"))
 
 
@@ -166,32 +211,33 @@ def pseudo_clique_counts(g: Graph, n: int) -> DataFrame:
     return both.select(F.explode(F.array(row(full, F.col("cnt")), row(lacking, F.col("pairs") - full.m * F.col("cnt")))).alias("x")).select("x.*")
 
 
-def combined(g: Graph, wanted: list[tuple[Pattern, dict[tuple, Fraction]]], names: list[str] | None = None, chunk: int | None = None) -> DataFrame:
-    """(pattern, n, m, cnt): each wanted linear combination of terms, as one plan.
+#: Terms beyond this many are evaluated so many at a time, which bounds a plan's size.
+CHUNK = 12
 
-    With ``chunk`` the terms are evaluated so many at a time and their values,
-    one number each, pass through the driver; that bounds the plan's size.
-    """
-    spark = g.spark
-    terms = sorted({t for _, c in wanted for t in c}, key=repr)
-    at = {t: i for i, t in enumerate(terms)}
 
-    def values(some: list[tuple]) -> DataFrame:
-        return reduce(DataFrame.unionAll, [term_value(g, t).select(F.lit(at[t]).alias("term"), "value") for t in some])
+def combined(g: Graph, wanted: list[tuple[Pattern, dict[tuple, Fraction]]], names: list[str] | None = None, chunk: int | None = None, plans: dict[tuple, Plan] | None = None) -> DataFrame:
+    """(pattern, n, m, cnt): each wanted linear combination of terms.
 
-    if chunk is None:
-        table = values(terms)
-    else:
-        rows = [tuple(r) for i in range(0, len(terms), chunk) for r in values(terms[i: i + chunk]).collect()]
-        table = spark.createDataFrame(rows, f"term int, value {WIDE}")
-    coefficients = []
+    The terms' values, one number each, pass through the driver, where they are
+    combined exactly; part tables that several terms share are made once.
+    """
+    plans = plans or {}
+    terms = sorted({t for _, c in wanted for t in c}, key=repr)
+    tables = PartTables(g, [plans[t] for t in terms if t in plans and t[0] == "joint"])
+    value: dict[tuple, int] = {}
+    for i in range(0, len(terms), chunk or CHUNK):
+        some = list(enumerate(terms[i: i + (chunk or CHUNK)]))
+        frames = [term_value(g, t, plans.get(t), tables if t in plans else None).select(F.lit(k).alias("term"), "value") for k, t in some]
+        for r in reduce(DataFrame.unionAll, frames).collect():
+            value[some[r["term"]][1]] = int(r["value"])
+    tables.release()
+    rows = []
     for k, (p, c) in enumerate(wanted):
-        scale = int(np.lcm.reduce([f.denominator for f in c.values()] or [1]))
-        coefficients += [(k, at[t], int(f * scale), scale) for t, f in c.items()]
-    factors = spark.createDataFrame(coefficients, "k int, term int, factor long, scale long")
-    patterns = spark.createDataFrame([(k, names[k] if names else p.name, p.n, p.m) for k, (p, _) in enumerate(wanted)], "k int, pattern string, n int, m int")
-    sums = F.broadcast(factors).join(table, "term").groupBy("k").agg(F.sum((F.col("value") * F.col("factor").cast("decimal(18,0)")).cast(WIDE)).alias("s"), F.max("scale").alias("scale"))
-    return patterns.join(F.broadcast(sums), "k").select("pattern", "n", "m", F.expr("CAST(s div CAST(scale AS DECIMAL(18,0)) AS BIGINT)").alias("cnt"))
+        count = sum((f * value[t] for t, f in c.items()), Fraction(0))
+        if count.denominator != 1:
+            raise ArithmeticError(f"{p.name}: matchings aren't a multiple of the automorphisms")
+        rows.append((names[k] if names else p.name, p.n, p.m, int(count)))
+    return g.spark.createDataFrame(rows, "pattern string, n int, m int, cnt long")
 
 
 def vertex_coefficients(n: int) -> np.ndarray:
@@ -223,21 +269,33 @@ def wanted_counts(patterns: list[Pattern], induced: str, terms: Terms) -> list[t
     return out
 
 
-def pattern_counts(g: Graph, patterns: list[Pattern], induced: str = "edge", model: CostModel = DEFAULT, names: list[str] | None = None, chunk: int | None = None, cut_of=None) -> DataFrame:
-    """(pattern, n, m, cnt) of unlabelled patterns; parts and quotients that patterns share are counted once."""
-    return combined(g, wanted_counts(patterns, induced, Terms(model, cut_of)), names, chunk)
+def pattern_counts(g: Graph, patterns: list[Pattern], induced: str = "edge", model: CostModel | None = None, names: list[str] | None = None, chunk: int | None = None, cut_of=None) -> DataFrame:
+    """(pattern, n, m, cnt) of unlabelled patterns; parts and quotients that patterns share are counted once.
+
+    Without a model the graph's own size and density price the plans.
+    """
+    terms = Terms(model or g.model(), cut_of)
+    wanted = wanted_counts(patterns, induced, terms)
+    return combined(g, wanted, names, chunk, terms.plans)
 
 
-def pattern_count(g: Graph, p: Pattern, induced: str = "edge", plan: Plan | None = None, model: CostModel = DEFAULT, via: str = "auto") -> int:
+def pattern_count(g: Graph, p: Pattern, induced: str = "edge", plan: Plan | None = None, model: CostModel | None = None, via: str = "auto") -> int:
     """Embeddings of a pattern.  ``via`` direct enumerates; indirect decomposes (and solves for vertex-induced counts)."""
     if p.labels is not None:
         return labelled_count(g, p, plan)
     if p.n == 1:
         return g.stats()[0]
     if via == "direct" or (plan is not None and plan.kind == "direct"):
-        order = (plan or best_direct(p, model)).order
-        return enumerate_matchings(g, p, order, induced, restrictions(p)).count()
-    cut_of = None if plan is None else (lambda q: plan.cut if canonical_code(q) == canonical_code(p) and q == p else counting_cut(q, model))
+        plan = plan or best_direct(p, model or g.model())
+        return enumerate_matchings(g, p, plan.order, induced, plan.pinned or restrictions(p)).count()
+    if via == "auto" and induced == "vertex" and plan is None:
+        # indirect counts need every denser pattern of the size: the cheaper way is taken
+        model = model or g.model()
+        denser = [q for q in connected_patterns(p.n) if q.m > p.m]
+        direct = best_direct(p, model)
+        if direct.cost <= sum(counting_plan(q, model).cost for q in [p, *denser]):
+            return enumerate_matchings(g, p, direct.order, induced, direct.pinned or restrictions(p)).count()
+    cut_of = None if plan is None else (lambda q: plan.cut if q == p else counting_cut(q, model or DEFAULT))
     return pattern_counts(g, [p], induced, model, cut_of=cut_of).first()["cnt"]
 
 
@@ -256,16 +314,17 @@ def labelled_count(g: Graph, p: Pattern, plan: Plan | None = None) -> int:
     return whole
 
 
-def count_with_cut(g: Graph, p: Pattern, cut: tuple[int, ...]) -> int:
-    """By a given cut, collisions enumerated: for tests and for timing cuts against each other."""
-    total = int(joint(g, p, cut).first()["value"])
-    for q, times in grouped_collisions(p, cut):
-        total -= times * enumerate_matchings(g, q, greedy_order(q)).count()
+def count_with_cut(g: Graph, p: Pattern, cut: tuple[int, ...], plan: Plan | None = None) -> int:
+    """By a given cut, collisions enumerated: for tests and for timing cuts against each other.  ``plan`` gives the orders of parts and collisions."""
+    total = int(joint(g, p, cut, plan=plan).first()["value"])
+    for i, (q, times) in enumerate(grouped_collisions(p, cut)):
+        order = plan.collision_orders[i] if plan is not None and plan.collision_orders else greedy_order(q)
+        total -= times * enumerate_matchings(g, q, order).count()
     whole, rest = divmod(total, len(automorphisms(p)))
     assert rest == 0
     return whole
 
 
-def motif_counts(g: Graph, k: int, induced: str = "vertex", chunk: int | None = None, model: CostModel = DEFAULT) -> DataFrame:
+def motif_counts(g: Graph, k: int, induced: str = "vertex", chunk: int | None = None, model: CostModel | None = None) -> DataFrame:
     """Counts of all connected patterns of k vertices."""
     return pattern_counts(g, list(connected_patterns(k)), induced, model, chunk=chunk)

@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
+from cutloom.plans.cost import CostModel, UniformModel
+
 
 def normalize_edges(pairs: DataFrame, a: str = "src", b: str = "dst") -> DataFrame:
     """edges(src, dst), src < dst: loops and null ends dropped, directions folded, duplicates removed."""
@@ -44,6 +46,7 @@ class Graph:
         self.edges = edges.persist(StorageLevel.MEMORY_AND_DISK) if persist else edges
         self.vertices = vertices
         self.size = self.edges.count() if persist else None
+        self.profile: CostModel | None = None
 
     @property
     def spark(self):
@@ -82,6 +85,19 @@ class Graph:
         first = F.struct("ds", "src") < F.struct(F.col("dd").alias("ds"), F.col("dst").alias("src"))
         return e.select(F.when(first, F.col("src")).otherwise(F.col("dst")).alias("u"), F.when(first, F.col("dst")).otherwise(F.col("src")).alias("v"))
 
+    def model(self) -> CostModel:
+        """What plans are priced with: the graph's profile once one was taken (see operators/profile.py), else its size and density."""
+        if self.profile is None:
+            n, m = self.stats()
+            self.profile = UniformModel(max(n, 2), max(2 * m / max(n, 1), 1e-9))
+        return self.profile
+
+    def release(self) -> None:
+        """Drop what is persisted."""
+        self.edges.unpersist()
+        if "arcs" in self.__dict__:
+            self.arcs.unpersist()
+
     def stats(self) -> tuple[int, int]:
         """Vertices with an edge, and edges."""
         row = self.degrees().agg(F.count(F.lit(1)).alias("n"), F.sum("deg").alias("d")).first()
