@@ -64,7 +64,7 @@ class Rule:
 
 #: Thresholds in thousandths.
 RULES = [
-    Rule("length", "n_words", "1", 12_000, 40_000, True, EVIDENCE),
+    Rule("length", "n_words", "1", 3_000, 10_000, True, EVIDENCE),
     Rule("symbols", "n_symbols", "n_words", 150),
     Rule("marks", "n_symbols", "word_chars", 40),
     Rule("repeats", "n_repeat_words", "n_words", 120),
@@ -72,7 +72,7 @@ RULES = [
     Rule("word_size", "word_chars", "n_words", 16_000),
     Rule("capitals", "n_capitals", "word_chars", 300),
     Rule("calls", "n_calls", "n_words", 200),
-    Rule("common", "n_common", "1", 1_000, 4_000, True, EVIDENCE),
+    Rule("common", "n_common", "n_words", 0, 50, True, EVIDENCE),
 ]
 
 #: Rounds of the fit, pseudo-documents of each class, and the rule that tells the classes apart.

@@ -109,6 +109,7 @@ def test_quality_accuracy(spark):
     y = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
     r = quality.judged(d).join(y, "doc_id").where("NOT __q.base_failed").select("__kept", "quality").collect()
     assert np.mean([x["__kept"] == (x["quality"] == 1) for x in r]) > 0.97
+    assert np.mean([x["__kept"] for x in r if x["quality"] == 1]) > 0.99  # clean documents stay
 
 
 def test_sentencepiece(rows, docs):
