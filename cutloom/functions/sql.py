@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 from cutloom.operators.decompose import pattern_counts
 from cutloom.operators.graph import Graph
@@ -15,7 +17,7 @@ NAMED = {"chain": catalogue.chain, "cycle": catalogue.cycle, "clique": catalogue
 
 
 def register_sql(spark: SparkSession, g: Graph, wanted: list[tuple[str, int]], view: str = "pattern_counts") -> DataFrame:
-    """A view (name, size, cnt) of edge-induced counts, and functions choose2, choose3 and ordered.
+    """A view (name, size, cnt) of edge-induced counts, functions choose2, choose3, ordered and geometric_mean, and the table function triangle_images.
 
     Queries on the view follow the usual path: parsed, analysed, optimised, run.
     """
@@ -26,9 +28,18 @@ def register_sql(spark: SparkSession, g: Graph, wanted: list[tuple[str, int]], v
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION choose2(n BIGINT) RETURNS BIGINT RETURN n * (n - 1) div 2")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION choose3(n BIGINT) RETURNS BIGINT RETURN n * (n - 1) * (n - 2) div 6")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION ordered(a BIGINT, b BIGINT) RETURNS BOOLEAN RETURN a < b")
+    spark.udf.register("geometric_mean", geometric_mean)
+    spark.udtf.register("triangle_images", TriangleImages)
     return out
 
 
+@pandas_udf("double")
+def geometric_mean(values: pd.Series) -> float:
+    """Geometric mean of positive values, as for speed-ups; null without any."""
+    values = values[values > 0]
+    return float(np.exp(np.log(values).mean())) if len(values) else None
+
+
 def relabelled(rows: DataFrame, p: Pattern) -> DataFrame:
     """Each matching in all images under the pattern's automorphisms."""
     images = F.array(*[F.struct(*[F.col(f"m{a[i]}").alias(f"m{i}") for i in range(p.n)]) for a in automorphisms(p)])

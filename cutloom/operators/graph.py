@@ -18,18 +18,26 @@ def normalize_edges(pairs: DataFrame, a: str = "src", b: str = "dst") -> DataFra
     return pairs.select(F.least(x, y).alias("src"), F.greatest(x, y).alias("dst")).where("src < dst").distinct()
 
 
-def reliable(df: DataFrame) -> DataFrame:
-    """Cut the lineage in the shared checkpoint folder of the session.
+def shared_folder(spark) -> str:
+    """The folder that the driver and all executors share: spark.checkpoint.dir, or the context's own.
 
     Only a session on one machine (as in tests) gets a folder of its own where
     none is set; on a cluster that is an error.
     """
-    spark = df.sparkSession
-    if not spark.sparkContext.getCheckpointDir():
-        folder = spark.conf.get("spark.checkpoint.dir", None)
-        if not folder and not spark.sparkContext.master.startswith("local"):
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not folder:
+        if not spark.sparkContext.master.startswith("local"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        spark.sparkContext.setCheckpointDir(folder or tempfile.mkdtemp(prefix="cutloom-checkpoint-"))
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="cutloom-checkpoint-"))
+        folder = spark.sparkContext.getCheckpointDir()
+    return folder
+
+
+def reliable(df: DataFrame) -> DataFrame:
+    """Cut the lineage in the shared checkpoint folder of the session."""
+    context = df.sparkSession.sparkContext
+    if not context.getCheckpointDir():
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -29,6 +30,36 @@ def _n(x="*") -> F.Column:
     return F.count(F.lit(1)).alias("n") if x == "*" else F.count(x).alias("n")
 
 
+@op
+def op_corr(spark, sf_dir):
+    """Correlation of a part's degrees in two graphs, in millionths (from exact sums, so it is the same in any order)."""
+    a, b = _bulk(spark, sf_dir).degrees(), part_graph(spark, sf_dir, "ret").degrees().select("v", F.col("deg").alias("other"))
+    both = a.join(b, "v").agg(F.corr("deg", "other").alias("r"), F.regr_slope("other", "deg").alias("slope"), _n())
+    return both.select(F.round(F.col("r") * 1e6).cast("long").alias("r"), F.round(F.col("slope") * 1e6).cast("long").alias("slope"), "n")
+
+
+@op
+def op_stream_batch_equal(spark, sf_dir):
+    """Edges of the interval join of two event streams, run to the end, against the batch join: how many of either kind the other lacks."""
+    from cutloom.streaming import activity
+
+    folder = f"{_shared(spark)}/stream-{uuid.uuid4().hex}"
+    events = table(spark, sf_dir, "events")
+    events.repartition(4).write.parquet(f"{folder}/in")
+    left, right = (activity.events_stream(spark, f"{folder}/in", "3650 days", 4) for _ in range(2))
+    stream = activity.activity_pairs(left, right).writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    stream.awaitTermination()
+    streamed, batch = spark.read.parquet(f"{folder}/out").select("src", "dst").distinct(), activity_edges(events)
+    count = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    return count(batch, "edges").join(F.broadcast(count(streamed.exceptAll(batch), "only_stream"))).join(F.broadcast(count(batch.exceptAll(streamed), "only_batch")))
+
+
+def _shared(spark) -> str:
+    from cutloom.operators.graph import shared_folder
+
+    return shared_folder(spark)
+
+
 @op
 def op_scan_edges(spark, sf_dir):
     return part_edges(spark, sf_dir, "bulk")
@@ -317,6 +348,8 @@ ORACLES = {
     "op_outer_join": f"{_BULK} SELECT p_partkey AS v, coalesce(deg, 0)::BIGINT AS deg FROM part LEFT JOIN d ON d.v = p_partkey",
     "op_cross_guard": "SELECT x.p_type, y.p_type AS other FROM (SELECT DISTINCT p_type FROM part) x, (SELECT DISTINCT p_type FROM part) y",
     "op_range_join": "SELECT DISTINCT least(x.user_id, y.user_id) AS src, greatest(x.user_id, y.user_id) AS dst FROM events x JOIN events y ON x.event_type = y.event_type AND x.user_id <> y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 60 SECOND",
+    "op_corr": f"{_BULK}{_RET}, dr AS (SELECT v, count(*) AS deg FROM (SELECT src AS v FROM er UNION ALL SELECT dst FROM er) GROUP BY v) SELECT round(corr(d.deg, dr.deg) * 1e6)::BIGINT AS r, round(regr_slope(dr.deg, d.deg) * 1e6)::BIGINT AS slope, count(*)::BIGINT AS n FROM d JOIN dr ON dr.v = d.v",
+    "op_stream_batch_equal": "SELECT count(*)::BIGINT AS edges, 0::BIGINT AS only_stream, 0::BIGINT AS only_batch FROM (SELECT DISTINCT least(x.user_id, y.user_id), greatest(x.user_id, y.user_id) FROM events x JOIN events y ON x.event_type = y.event_type AND x.user_id <> y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 60 SECOND)",
     "op_asof_join": "SELECT event_id, lag(event_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS before FROM events",
     "op_lateral_topk": f"{_BULK} SELECT u, v, k::INT AS k FROM (SELECT u, v, row_number() OVER (PARTITION BY u ORDER BY v) AS k FROM a) WHERE k <= 3",
     "op_group_label_pairs": f"{_BULK}{_LAB} SELECT least(bu, bv) AS a, greatest(bu, bv) AS b, count(*)::BIGINT AS n FROM la WHERE u < v GROUP BY ALL",

@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from cutloom.operators.constraints import demo
-from cutloom.patterns import Pattern, automorphisms, connected_patterns
+from cutloom.patterns import Pattern, automorphisms, connected_patterns, cycle, diamond, house
+from cutloom.patterns import chain as chain_of
 from cutloom.plans.cuts import parts
 from cutloom.queries import BASELINES, COUNTS, FRAGMENTS, SWEEP
 from cutloom.sources.derive import PART_GRAPHS, SUPPLIER_OFFSET
@@ -88,24 +89,28 @@ def supports_sql(kind: str, labels: str) -> str:
 
 
 def constraint_sql(whole: bool) -> str:
+    """By labels first: triangles (1, 3, 4) of one label where they must agree, else triangles (0, 1, 3), are few; the rest is joined to them."""
     p, c, _ = demo()
+    labelled = f"{edges_sql('bulk')}, t AS MATERIALIZED (SELECT u, v, x.p_type AS lu, y.p_type AS lv FROM a JOIN part x ON x.p_partkey = u JOIN part y ON y.p_partkey = v)"
+    if whole:
+        return f"""WITH {labelled}, s AS MATERIALIZED (SELECT * FROM t WHERE lu = lv),
+low AS MATERIALIZED (SELECT x.u AS m1, x.v AS m3, y.v AS m4, x.lu AS l1 FROM s x JOIN s y ON y.u = x.v JOIN s z ON z.u = x.u AND z.v = y.v),
+roof AS MATERIALIZED (SELECT low.*, x.v AS m0, x.lv AS l0 FROM low JOIN t x ON x.u = m1 AND x.lv <> l1 JOIN a y ON y.u = x.v AND y.v = m3)
+SELECT count(*)::BIGINT AS matchings, count(*)::BIGINT AS subgraphs FROM roof JOIN t x ON x.u = m1 AND x.lv <> l1 AND x.lv <> l0 JOIN a y ON y.u = m0 AND y.v = x.v WHERE x.v <> m3 AND x.v <> m4 AND m0 <> m4"""
+    from cutloom.operators.constraints import Constraint, preserving
+
     tables, where = matchings_from(p)
     tables = tables.replace(", ", " CROSS JOIN ")
     join = " ".join(f"JOIN part k{v} ON k{v}.p_partkey = {column_of(p, v)}" for v in range(p.n))
     test = "k0.p_type <> k1.p_type AND k0.p_type <> k2.p_type AND k1.p_type <> k2.p_type"
-    group = 1
-    if whole:
-        test += " AND k1.p_type = k3.p_type AND k3.p_type = k4.p_type"
-    else:
-        from cutloom.operators.constraints import Constraint, preserving
-
-        group = len(preserving(p, Constraint(c.subs[:1])))
+    group = len(preserving(p, Constraint(c.subs[:1])))
     return f"WITH {edges_sql('bulk')} SELECT count(*)::BIGINT AS matchings, (count(*) // {group})::BIGINT AS subgraphs FROM {tables} {join} WHERE {where} AND {test}"
 
 
 def all_oracles() -> dict[str, str]:
     out = {k: count_sql(*v) for k, v in {**COUNTS, **BASELINES}.items()}
     out |= {k: fragments_sql(*v) for k, v in FRAGMENTS.items()}
+    out["profiled_counts"] = count_sql((house(), cycle(5), chain_of(5), diamond()), "bulk", "edge")
     types = "SELECT p_partkey AS v, p_type AS label FROM part"
     columns = "shape, n_edges, l0, l1, l2, l3, support"
     for t in (50, 100, 150):
@@ -126,7 +131,7 @@ def all_oracles() -> dict[str, str]:
     for p in replay:
         tables, where = matchings_from(p)
         rows.append(f"SELECT '{p.name}' AS pattern, (count(*) // {len(automorphisms(p))})::BIGINT AS plain, (count(*) // {len(automorphisms(p))})::BIGINT AS replayed FROM {tables} WHERE {where}")
-    out["replay_on_off"] = f"WITH {edges_sql('bulk45')} " + " UNION ALL ".join(rows)
+    out["replay_on_off"] = f"WITH {edges_sql('bulk')} " + " UNION ALL ".join(rows)
     square = Pattern.parse("01 12 23 03")
     tables, where = matchings_from(square)
     whole = f"w AS MATERIALIZED (SELECT {', '.join(f'{column_of(square, v)} AS m{v}' for v in range(4))} FROM {tables} WHERE {where})"

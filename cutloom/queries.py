@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import time
 from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from cutloom import measure
 from cutloom.operators import baselines as B
 from cutloom.operators import constraints as C
 from cutloom.operators import decompose as D
@@ -18,9 +18,10 @@ from cutloom.operators import fsm as M
 from cutloom.operators import profile as P
 from cutloom.operators.graph import Graph
 from cutloom.patterns import Pattern, automorphisms, chain, clique, connected_patterns, cycle, diamond, house, pseudo_cliques, tailed_triangle
+from cutloom.patterns.algebra import restrictions
 from cutloom.plans.cost import LocalModel, UniformModel
-from cutloom.plans.cuts import parts
-from cutloom.plans.search import all_cuts, best_replay, counting_cut, greedy_order, random_plans, search
+from cutloom.plans.cuts import joinable, parts
+from cutloom.plans.search import all_cuts, best_replay, counting_cut, cut_plan, greedy_order, random_plans, search
 from cutloom.sources import derive as S
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -63,14 +64,14 @@ COUNTS: dict[str, tuple[tuple[Pattern, ...], str, str]] = {
     "pseudoclique_4": (pseudo_cliques(4), "bulk", "vertex"), "pseudoclique_5": (pseudo_cliques(5), "bulk", "vertex"), "pseudoclique_6": (pseudo_cliques(6), "bulk", "vertex"),
     "cycle5": ((cycle(5),), "bulk", "edge"), "cycle6": ((cycle(6),), "bulk", "edge"), "cycle4_bip": ((cycle(4),), "bip", "edge"), "cycle5_bip": ((cycle(5),), "bip", "edge"),
     "chain5_count": ((chain(5),), "bulk", "edge"), "clique4": ((clique(4),), "bulk", "edge"), "clique5": ((clique(5),), "bulk", "edge"), "house_count": ((house(),), "bulk", "edge"),
-    "growth_motif_3": (connected_patterns(3), "bulk45", "vertex"), "growth_motif_4": (connected_patterns(4), "bulk45", "vertex"), "growth_motif_5": (connected_patterns(5), "bulk45", "vertex"),
-    "growth_cycle_3": ((cycle(3),), "bulk45", "edge"), "growth_cycle_4": ((cycle(4),), "bulk45", "edge"), "growth_cycle_5": ((cycle(5),), "bulk45", "edge"), "growth_cycle_6": ((cycle(6),), "bulk45", "edge"),
+    "growth_motif_3": (connected_patterns(3), "bulk", "vertex"), "growth_motif_4": (connected_patterns(4), "bulk", "vertex"), "growth_motif_5": (connected_patterns(5), "bulk", "vertex"),
+    "growth_cycle_3": ((cycle(3),), "bulk", "edge"), "growth_cycle_4": ((cycle(4),), "bulk", "edge"), "growth_cycle_5": ((cycle(5),), "bulk", "edge"), "growth_cycle_6": ((cycle(6),), "bulk", "edge"),
 }
 for _name, (_patterns, _kind, _induced) in COUNTS.items():
     _counts(_name, _patterns, _kind, _induced, 12 if len(_patterns) > 10 else None)
 
-#: Larger patterns: brute force is too slow in SQL, tests hold them against enumeration on the smallest graph.
-LARGE = {"motif6_vertex": (connected_patterns(6), "bulk45", "vertex", 12), "cycle7": ((cycle(7),), "bulk45", "edge", None), "cycle8": ((cycle(8),), "bulk45", "edge", None), "cycle6_bip": ((cycle(6),), "bip", "edge", None)}
+#: Larger patterns: brute force is too slow in SQL; tests/test_large.py holds them against plain enumeration on the smallest graph.
+LARGE = {"motif6_vertex": (connected_patterns(6), "bulk45", "vertex", 12), "cycle7": ((cycle(7),), "bulk45", "edge", None), "cycle8": ((cycle(8),), "bulk45", "edge", None), "cycle6_bip": ((cycle(6),), "bip", "edge", None), "growth_motif_6": (connected_patterns(6), "bulk45", "vertex", 12)}
 for _name, (_patterns, _kind, _induced, _chunk) in LARGE.items():
     _counts(_name, _patterns, _kind, _induced, _chunk)
 
@@ -91,11 +92,13 @@ def _baseline(name: str, patterns, kind: str, induced: str, run: Callable[[Graph
 
 _four, _three = connected_patterns(4), connected_patterns(3)
 _baseline("inhouse_setenum_3", _three, "ret", "vertex", lambda g: B.set_enumeration(g, list(_three)))
+_baseline("inhouse_setenum_4", _four, "bulk", "vertex", lambda g: B.set_enumeration(g, list(_four)))
+_baseline("inhouse_setenum_5", connected_patterns(5), "bulk", "vertex", lambda g: B.set_enumeration(g, list(connected_patterns(5))))
 _baseline("baseline_setenum", _four, "bulk", "vertex", lambda g: B.set_enumeration(g, list(_four)))
 _baseline("baseline_symmetry", _four, "bulk", "vertex", lambda g: B.symmetry(g, list(_four)))
 _baseline("baseline_restr", _four, "bulk", "vertex", lambda g: B.restricted(g, list(_four)))
 _baseline("baseline_restr_count", _four, "bulk", "edge", lambda g: B.restricted_count(g, list(_four)))
-_baseline("baseline_oblivious", _four, "bulk45", "vertex", lambda g: B.oblivious(g, 4))
+_baseline("baseline_oblivious", _four, "bulk", "vertex", lambda g: B.oblivious(g, 4))
 _baseline("baseline_join", (diamond(),), "bulk", "edge", lambda g: B.relational(g, diamond()))
 _baseline("baseline_bfs", (tailed_triangle(),), "bulk", "edge", lambda g: B.bfs(g, tailed_triangle()))
 _baseline("baseline_dfs", (cycle(4),), "bulk", "edge", lambda g: B.dfs(g, cycle(4)))
@@ -200,7 +203,7 @@ def edge_to_vertex_identity(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def replay_on_off(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Matchings of the 20 patterns of five vertices that aren't cliques, with and without replay of a symmetric prefix."""
-    g = graph(spark, sf_dir, "bulk45")
+    g = graph(spark, sf_dir, "bulk")
     out = []
     for p in connected_patterns(5):
         if p.is_clique():
@@ -213,26 +216,73 @@ def replay_on_off(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionAll, out)
 
 
-def timed(spark: SparkSession, fn: Callable[[], object], repeats: int = 1) -> float:
-    """Mean seconds of a run."""
-    began = time.perf_counter()
-    for _ in range(repeats):
-        fn()
-    return (time.perf_counter() - began) / repeats
+@query
+def replay_times(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the same enumerations, the ratio, and those of whole symmetry breaking, which beats replay where the whole pattern is symmetric."""
+    g = graph(spark, sf_dir, "bulk")
+    model, rows = g.model(), []
+    for p in connected_patterns(5):
+        if p.is_clique():
+            continue
+        order = greedy_order(p)
+        k = max(best_replay(p, order, model), 2)
+        plain = measure.run(E.enumerate_matchings(g, p, order).count, 1)
+        again = measure.run(E.enumerate_matchings(g, p, order, replay=k).count, 1)
+        broken = measure.run(E.enumerate_matchings(g, p, order, pinned=restrictions(p)).count, 1)
+        rows.append((p.name, len(automorphisms(p)), k, plain.seconds, again.seconds, measure.speedup(again, plain), broken.seconds, broken.value * len(automorphisms(p)) == again.value))
+    return spark.createDataFrame(rows, "pattern string, automorphisms int, prefix int, plain_s double, replayed_s double, speedup double, restricted_s double, equal boolean")
+
+
+@query
+def profiled_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts whose plans are priced by the graph's own profile."""
+    g = graph(spark, sf_dir, "bulk")
+    P.profile(g, trials=20_000)
+    return D.pattern_counts(g, [house(), cycle(5), chain(5), diamond()])
+
+
+@query
+def profiling_time(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the profile of patterns up to four vertices, beside the motif count it serves."""
+    g = graph(spark, sf_dir, "bulk")
+    profiling = measure.run(lambda: P.profile(g, trials=20_000), 1)
+    counting = measure.run(lambda: D.motif_counts(g, 4).collect(), 1)
+    return spark.createDataFrame([("bulk", g.size, profiling.seconds, counting.seconds)], "graph string, edges long, profile_s double, motif4_s double")
+
+
+@query
+def speedups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean seconds of three runs of the 4-motif count, ours and each baseline's, how many times longer each takes, and its status."""
+    g = graph(spark, sf_dir, "bulk")
+    four = list(_four)
+    ours = measure.run(lambda: D.motif_counts(g, 4).collect(), 3)
+    others = {"set enumeration": lambda: B.set_enumeration(g, four), "symmetry": lambda: B.symmetry(g, four), "restrictions": lambda: B.restricted(g, four), "oblivious": lambda: B.oblivious(g, 4)}
+    rows = [("decomposition", ours.seconds, 1.0, ours.status)]
+    for name, make in others.items():
+        other = measure.run(lambda make=make: make().collect(), 3, LIMIT_S)
+        rows.append((name, other.seconds, measure.speedup(ours, other), other.status))
+    return spark.createDataFrame(rows, "engine string, seconds double, times_longer double, status string")
+
+
+#: Seconds after which a baseline counts as late, so it isn't repeated.
+LIMIT_S = 300.0
 
 
-def model_rows(g: Graph, patterns: tuple[Pattern, ...], k: int, seed: int = 1) -> list[tuple[float, float, float, float]]:
-    """(seconds, uniform, local, profiled estimate) of random plans of an application: one random plan of each pattern, summed."""
+def model_rows(g: Graph, patterns: tuple[Pattern, ...], k: int, seed: int = 1, times: measure.PieceTimes | None = None) -> list[tuple[float, float, float, float]]:
+    """(seconds, uniform, local, profiled estimate) of random plans of an application: one random plan of each pattern, summed.
+
+    A plan's parts and collisions run in the very orders that are priced.
+    """
     from cutloom.plans.cost import cut_cost
 
     n, m = g.stats()
     degree = 2 * m / n
     models = [UniformModel(n, degree), LocalModel(n, degree, P.local_probability(g)), P.ProfileStore(g, trials=20_000).model(4)]
+    times = times or measure.PieceTimes(g)
     out = []
     for plans in zip(*[random_plans(p, k, seed + i) for i, p in enumerate(patterns)]):
-        each = list(zip(patterns, plans))
-        seconds = timed(g.spark, lambda each=each: [D.count_with_cut(g, p, plan.cut) for p, plan in each])
-        out.append((seconds, *[sum(cut_cost(p, plan.cut, [list(o) for o in plan.part_orders], x) for p, plan in each) for x in models]))
+        seconds = sum(times.plan(plan) for plan in plans)
+        out.append((seconds, *[sum(cut_cost(plan.pattern, plan.cut, [list(o) for o in plan.part_orders], x, collision_orders=plan.collision_orders) for plan in plans) for x in models]))
     return out
 
 
@@ -242,7 +292,8 @@ PLANS = 100
 
 
 def correlations(g: Graph, applications: dict[str, tuple[Pattern, ...]], k: int) -> DataFrame:
-    rows = [(name, *map(float, r)) for name, patterns in applications.items() for r in model_rows(g, patterns, k)]
+    times = measure.PieceTimes(g)
+    rows = [(name, *map(float, r)) for name, patterns in applications.items() for r in model_rows(g, patterns, k, times=times)]
     df = g.spark.createDataFrame(rows, "application string, seconds double, uniform double, local double, profiled double")
     return df.groupBy("application").agg(F.corr("seconds", "uniform").alias("uniform"), F.corr("seconds", "local").alias("local"), F.corr("seconds", "profiled").alias("profiled"), F.count(F.lit(1)).alias("n"))
 
@@ -258,41 +309,54 @@ ABLATION = (house(), Pattern.parse("01 02 03 12 13 24"), Pattern.parse("01 02 03
 
 @query
 def model_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The cut that each model picks for three patterns, its count and its seconds."""
-    g = graph(spark, sf_dir, "bulk45")
+    """The cut that each model picks for three patterns, its count and its seconds; perfect: every cut is run and the fastest kept."""
+    g = graph(spark, sf_dir, "bulk")
     n, m = g.stats()
     degree = 2 * m / n
     models = {"uniform": UniformModel(n, degree), "local": LocalModel(n, degree, P.local_probability(g)), "profiled": P.ProfileStore(g, trials=20_000).model(4)}
     rows = []
     for p in ABLATION:
+        known: dict[tuple, measure.Run] = {}
+
+        def timed(plan, p=p, known=known) -> measure.Run:
+            key = (plan.cut, plan.part_orders)
+            if key not in known:
+                known[key] = measure.run(lambda: D.count_with_cut(g, p, plan.cut, plan), 1)
+            return known[key]
+
         for name, model in models.items():
             plan = search(p, model, allow_direct=False)
-            began = time.perf_counter()
-            count = D.count_with_cut(g, p, plan.cut)
-            rows.append((p.name, name, ",".join(map(str, plan.cut)), count, time.perf_counter() - began))
+            rows.append((p.name, name, ",".join(map(str, plan.cut)), timed(plan).value, timed(plan).seconds))
+        every = [cut_plan(p, c, models["uniform"]) for c in all_cuts(p, up_to_symmetry=True) if joinable(p, c)]
+        for plan in every:
+            timed(plan)
+        best = min(known, key=lambda k: known[k].seconds)
+        rows.append((p.name, "perfect", ",".join(map(str, best[0])), known[best].value, known[best].seconds))
     return spark.createDataFrame(rows, "pattern string, model string, cut string, cnt long, seconds double")
 
 
 @query
 def cut_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows of the parts of every cut of the house: the worst against the best."""
-    g = graph(spark, sf_dir, "bulk45")
+    """Rows of the parts of every cut of the house and seconds of its count: the worst against the best."""
+    g = graph(spark, sf_dir, "bulk")
     p = house()
     out = []
     for cut in all_cuts(p, up_to_symmetry=True):
-        if all(p.induced(list(x.vertices)).connected() for x in parts(p, cut)):
+        if joinable(p, cut):
             rows = [R.part_rows(g, p, x).agg(F.count(F.lit(1)).alias("rows")) for x in parts(p, cut)]
-            out.append(reduce(DataFrame.unionAll, rows).agg(F.sum("rows").alias("rows")).select(F.lit(",".join(map(str, cut))).alias("cut"), "rows"))
+            took = measure.run(lambda cut=cut: D.count_with_cut(g, p, cut), 1)
+            out.append(reduce(DataFrame.unionAll, rows).agg(F.sum("rows").alias("rows")).select(F.lit(",".join(map(str, cut))).alias("cut"), "rows", F.lit(took.value).alias("cnt"), F.lit(took.seconds).alias("seconds")))
     return reduce(DataFrame.unionAll, out)
 
 
 @query
 def profile_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sampled against exact counts of the patterns of three and four vertices."""
+    """Sampled against exact counts of the patterns of three to five vertices; frequent: at least one in a thousand walks is a hit."""
     g = graph(spark, sf_dir, "bulk")
-    some = [p for n in (3, 4) for p in connected_patterns(n)]
+    some = [p for n in (3, 4, 5) for p in connected_patterns(n)]
     exact = D.pattern_counts(g, some).select("pattern", F.col("cnt").alias("exact"))
-    return P.neighbor_sample(g, some, 100_000).join(exact, "pattern")
+    found = P.neighbor_sample(g, some, 100_000).join(exact, "pattern")
+    return found.withColumn("error", F.when(F.col("exact") > 0, F.abs(F.col("approx") - F.col("exact")) / F.col("exact")))
 
 
 @query
@@ -308,16 +372,15 @@ def estimated_loops(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def compile_vs_exec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds to plan and to run motif counts of three and four vertices."""
-    g = graph(spark, sf_dir, "bulk")
+    """Seconds to plan and to run motif counts of three to six vertices (six on the thinner graph)."""
     rows = []
-    for k in (3, 4):
-        began = time.perf_counter()
-        wanted = D.wanted_counts(list(connected_patterns(k)), "vertex", D.Terms())
-        planned = time.perf_counter()
-        D.combined(g, wanted).collect()
-        rows.append((k, planned - began, time.perf_counter() - planned))
-    return spark.createDataFrame(rows, "k int, plan_s double, run_s double")
+    for k, kind in ((3, "bulk"), (4, "bulk"), (5, "bulk"), (6, "bulk45")):
+        g = graph(spark, sf_dir, kind)
+        terms = D.Terms(g.model())
+        planned = measure.run(lambda k=k, terms=terms: D.wanted_counts(list(connected_patterns(k)), "vertex", terms), 1)
+        ran = measure.run(lambda g=g, planned=planned, terms=terms: D.combined(g, planned.value, plans=terms.plans).collect(), 1)
+        rows.append((k, kind, planned.seconds, ran.seconds))
+    return spark.createDataFrame(rows, "k int, graph string, plan_s double, run_s double")
 
 
 @query
@@ -334,5 +397,15 @@ def fragments_vs_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def rmat_4motif(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Motifs of four vertices of a generated graph (2^10 vertices)."""
-    return D.motif_counts(Graph(S.rmat_edges(spark, 10, 4)), 4)
+    """Motifs of four vertices of a generated graph that grows with the tables: the next power of two above the number of parts, four edges a vertex."""
+    scale = max(4, (S.table(spark, sf_dir, "part").count() - 1).bit_length())
+    return D.motif_counts(Graph(S.rmat_edges(spark, scale, 4)), 4)
+
+
+@query
+def pseudoclique_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pseudo-cliques of seven vertices on the bulk graph with a planted clique of nine and a near-clique of eight, on vertices of their own."""
+    edges = S.part_edges(spark, sf_dir, "bulk")
+    planted = [(-i, -j) for i in range(1, 10) for j in range(1, i)] + [(-100 - i, -100 - j) for i in range(1, 9) for j in range(1, i) if (i, j) != (2, 1)]
+    more = spark.createDataFrame([(min(e), max(e)) for e in planted], "src long, dst long")
+    return D.pseudo_clique_counts(Graph(edges.unionAll(more)), 7)
