@@ -7,6 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType
 
 from cutloom.operators.decompose import pattern_counts
 from cutloom.operators.graph import Graph
@@ -33,7 +34,7 @@ def register_sql(spark: SparkSession, g: Graph, wanted: list[tuple[str, int]], v
     return out
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def geometric_mean(values: pd.Series) -> float:
     """Geometric mean of positive values, as for speed-ups; null without any."""
     values = values[values > 0]

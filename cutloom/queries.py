@@ -70,7 +70,7 @@ COUNTS: dict[str, tuple[tuple[Pattern, ...], str, str]] = {
 for _name, (_patterns, _kind, _induced) in COUNTS.items():
     _counts(_name, _patterns, _kind, _induced, 12 if len(_patterns) > 10 else None)
 
-#: Larger patterns: brute force is too slow in SQL; tests/test_large.py holds them against plain enumeration on the smallest graph.
+#: Larger patterns: brute force is too slow in SQL; tests/test_large.py holds such counts against brute force on a small random graph.
 LARGE = {"motif6_vertex": (connected_patterns(6), "bulk45", "vertex", 12), "cycle7": ((cycle(7),), "bulk45", "edge", None), "cycle8": ((cycle(8),), "bulk45", "edge", None), "cycle6_bip": ((cycle(6),), "bip", "edge", None), "growth_motif_6": (connected_patterns(6), "bulk45", "vertex", 12)}
 for _name, (_patterns, _kind, _induced, _chunk) in LARGE.items():
     _counts(_name, _patterns, _kind, _induced, _chunk)
@@ -351,7 +351,7 @@ def cut_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def profile_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sampled against exact counts of the patterns of three to five vertices; frequent: at least one in a thousand walks is a hit."""
+    """Sampled against exact counts of the patterns of three to five vertices, and the relative error."""
     g = graph(spark, sf_dir, "bulk")
     some = [p for n in (3, 4, 5) for p in connected_patterns(n)]
     exact = D.pattern_counts(g, some).select("pattern", F.col("cnt").alias("exact"))
