@@ -42,10 +42,27 @@ SETTLED = "[\x00-\x1b\x20-\u04ff\u2000-\u2064]*"
 HOT, HOT_BYTES = 1 << 18, 256
 _MOST_HELD = 200_000
 
-_pattern = regex.compile(PRE_TOKENS)
 _settled = re.compile(SETTLED)
 
 
+def _settled_pattern() -> re.Pattern:
+    """The pre-token pattern for settled texts, its classes spelled out as ranges: the standard module cuts twice as fast with them."""
+    settled = [chr(c) for c in range(0x2065) if _settled.fullmatch(chr(c))]
+
+    def members(kind: str) -> str:
+        codes = [ord(c) for c in settled if regex.fullmatch(kind, c)]
+        starts = [c for i, c in enumerate(codes) if i == 0 or codes[i - 1] != c - 1]
+        ends = [c for i, c in enumerate(codes) if i == len(codes) - 1 or codes[i + 1] != c + 1]
+        return "".join(f"\\u{a:04x}-\\u{b:04x}" for a, b in zip(starts, ends))
+
+    letters, numbers, spaces = members(r"\p{L}"), members(r"\p{N}"), members(r"\s")
+    spelled = PRE_TOKENS.replace(r"[^\s\p{L}\p{N}]", f"[^{spaces}{letters}{numbers}]").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{numbers}]")
+    return re.compile(spelled.replace(r"\S", f"[^{spaces}]").replace(r"\s", f"[{spaces}]"))
+
+
+_pattern = _settled_pattern()
+
+
 @lru_cache(maxsize=4)
 def _tokenizer(path: str):
     """The library's tokenizer and the pattern of its special strings, or None."""
