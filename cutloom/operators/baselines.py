@@ -140,17 +140,17 @@ def bfs(g: Graph, p: Pattern, induced: str = "edge") -> DataFrame:
 KERNEL_ARCS = 20_000_000
 
 
-def dfs(g: Graph, p: Pattern, induced: str = "edge") -> DataFrame:
+def dfs(g: Graph, p: Pattern, induced: str = "edge", most_arcs: int = KERNEL_ARCS) -> DataFrame:
     """Depth-first set enumeration in an Arrow kernel over the start vertices, with the adjacency broadcast.
 
-    Graphs beyond KERNEL_ARCS arcs are refused: use joins for them.
+    Graphs beyond ``most_arcs`` arcs run the same order and restrictions as joins.
     """
+    plan = best_direct(p)
+    if 2 * g.edges.count() > most_arcs:
+        rows = enumerate_matchings(g, p, plan.order, induced, plan.pinned)
+        return _named(rows.agg(F.count(F.lit(1)).alias("cnt")), p)
     adj = g.adjacency().select("v", "nbrs")
-    arcs = 2 * g.edges.count()
-    if arcs > KERNEL_ARCS:
-        raise ValueError(f"{arcs} arcs are too many to broadcast")
     near = g.spark.sparkContext.broadcast({r["v"]: np.asarray(r["nbrs"], np.int64) for r in adj.collect()})
-    plan = best_direct(p)
     order, pinned = list(plan.order), list(plan.pinned)
 
     def run(batches):

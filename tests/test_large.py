@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from cutloom import measure
 from cutloom.functions.sql import register_sql
 from cutloom.operators import decompose as D
+from cutloom.operators.baselines import dfs
 from cutloom.operators.enumerate import enumerate_matchings
 from cutloom.operators.graph import Graph
 from cutloom.operators.profile import profile
@@ -114,3 +115,8 @@ def test_measures_and_explain(spark, g):
     assert spark.sql("SELECT geometric_mean(x) AS m FROM VALUES (2.0D), (8.0D) AS t(x)").first()["m"] == pytest.approx(4.0)
     assert spark.sql("SELECT count(*) AS n, count(DISTINCT m0) AS k FROM triangle_images(1, 2, 3)").first() == (6, 3)
     assert g.degrees().agg(F.count(F.lit(1))).first()[0] == 10
+
+
+def test_depth_first_beyond_its_bound(g):
+    for induced in ("edge", "vertex"):
+        assert dfs(g, cycle(4), induced, most_arcs=0).first()["cnt"] == dfs(g, cycle(4), induced).first()["cnt"] > 0
