@@ -63,6 +63,26 @@ def stored(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: A key is hot when it holds more than this many rows and more than one in this many: at most HOT keys are.
+HOT = 1000
+
+
+def joined_hot(rows: DataFrame, table: DataFrame, key: str, total: int, weight: str = "n") -> DataFrame:
+    """``rows`` left-joined with ``table``, whose keys are distinct and whose ``weight`` is each key's number of rows.
+
+    ``total`` is the number of rows.  The table's rows of hot keys, at most HOT,
+    are broadcast, so that no task receives all rows of one key; the others meet
+    in a shuffled join.
+    """
+    hot = table.where(F.col(weight) > max(HOT, total // HOT)).drop(weight)
+    few, rest = hot.collect(), table.drop(weight)
+    if not few:
+        return rows.join(rest, key, "left")
+    known = rows.sparkSession.createDataFrame(few, hot.schema).withColumn("__hot", F.lit(True))
+    tagged = rows.join(F.broadcast(known), key, "left")
+    return tagged.where("__hot").drop("__hot").unionByName(tagged.where("__hot is null").select(*rows.columns).join(rest, key, "left"))
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from cutloom.llm.common import gathered, reliable, shuffle_partitions, text_bytes
+from cutloom.llm.common import gathered, joined_hot, reliable, shuffle_partitions, text_bytes
 
 SEED = 42
 
@@ -284,6 +284,11 @@ def near_pairs(distinct: DataFrame, radius: int = 4, shard: int = SHARD, leaf: i
 
 # --- connected components ----------------------------------------------------
 
+def _with_least(edges: DataFrame, total: int) -> DataFrame:
+    """(u, v, m): each edge with the least v of its u; a hub's edges stay where they are."""
+    return joined_hot(edges, edges.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "u", total)
+
+
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """(node, root): the smallest node reachable, for the nodes of ``links`` (a, b).
 
@@ -293,17 +298,15 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """
     edges = reliable(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     for _ in range(most_rounds):
+        total = 2 * edges.count()
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        lowest = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.where("v > u").join(lowest, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        small_min = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(small_min, "u").select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u <> v").distinct()
-        after = reliable(small)
+        large = _with_least(both, total).where("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).where("u <> v").distinct()
+        small = _with_least(large, total).select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u <> v").distinct()
+        edges = reliable(small)
         # settled: every node has one parent and no parent has a parent
-        state = after.groupBy("u").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("n")).first()
-        settled = (state["n"] or 0) <= 1 and after.alias("x").join(after.alias("y"), F.col("x.v") == F.col("y.u"), "left_semi").isEmpty()
-        edges = after
-        if settled:
+        state = edges.groupBy("u").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("n")).first()
+        parents, children = edges.select("v").distinct(), edges.select("u").distinct()
+        if (state["n"] or 0) <= 1 and parents.join(children, F.col("v") == F.col("u"), "left_semi").isEmpty():
             return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
     raise RuntimeError("components did not settle")
 
@@ -311,10 +314,10 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, size: int = 5, radius: int = 4, id_col: str = "doc_id", text_col: str = "text", shard: int = SHARD) -> DataFrame:
     """(id, fp, component) for each row; component is the smallest id reachable over links."""
     marked = reliable(fingerprints(docs, size, id_col, text_col))
-    first = marked.where("id is not null").groupBy("fp").agg(F.min("id").alias("first"))
+    first = marked.where("id is not null").groupBy("fp").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n"))
     roots = components(near_pairs(first.select("fp", F.col("first").alias("id")), radius, shard))
-    named = first.join(roots, F.col("first") == F.col("node"), "left").select("fp", F.coalesce("root", "first").alias("component"))
-    return marked.join(named, "fp", "left").select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component"))
+    named = first.join(roots, F.col("first") == F.col("node"), "left").select("fp", F.coalesce("root", "first").alias("component"), "n")
+    return joined_hot(marked, named, "fp", marked.count()).select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component"))
 
 
 def deduplicated(docs: DataFrame, size: int = 5, radius: int = 4) -> DataFrame:

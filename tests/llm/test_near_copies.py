@@ -59,3 +59,37 @@ def test_near_dedup_of_the_small_table(spark):
     rows = {r["doc_id"]: r for r in docs.collect()}
     assert sorted(r["doc_id"] for r in out) == kept_ids([(i, r["text"]) for i, r in rows.items()])
     assert all(r == rows[r["doc_id"]] for r in out)
+
+
+@pytest.mark.parametrize("group, block, pivots", [(0, 700, 1), (0, 1, 2), (2000, 5000, 8)])
+def test_large_groups_in_blocks(spark, group, block, pivots):
+    """Groups cut into blocks, with chains that no pivot reaches, sets of all sizes and repeated rows."""
+    from cutloom.llm.near_copies import near_copies
+
+    rng = random.Random(5)
+    texts, walk = ["", "a b", "a  b"], [f"w{i}" for i in range(60)]
+    for step in range(60):  # a chain: neighbours are alike, ends are not
+        texts.append(" ".join(walk))
+        walk[rng.randrange(60)] = f"c{step}"
+    base = [f"x{i}" for i in range(90)]
+    for cut in range(40):  # copies of one text, shorter and shorter
+        texts.append(" ".join(base[: 90 - 2 * cut]))
+    rows = list(enumerate(texts)) + [(5, texts[5]), (40, texts[70]), (None, texts[3])]
+    got = near_copies(spark.createDataFrame(rows, "doc_id long, text string"), group=group, block=block, pivots=pivots).collect()
+    assert {r["id"] for r in got if r["component"] is None} == {None}
+    assert sorted({r["component"] for r in got if r["id"] is not None}) == kept_ids(rows)
+
+
+def test_hot_joins_keep_every_row(spark, monkeypatch):
+    from cutloom.llm import common, simhash
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(common, "HOT", 3)
+    pairs = [(i, 0) for i in range(1, 30)] + [(i, i - 1) for i in range(101, 130)] + [(7, 200), (200, 201)]
+    found = {r["node"]: r["root"] for r in simhash.components(spark.createDataFrame(pairs, "a long, b long")).collect()}
+    assert found == {**{i: 0 for i in [*range(1, 30), 200, 201]}, **{i: 100 for i in range(101, 130)}}
+    rows = spark.createDataFrame([(k, i) for k in range(5) for i in range(10 ** (k % 2 + 1))] + [(9, 9)], "k long, i long")
+    table = rows.where("k <> 9").groupBy("k").agg(F.max("i").alias("top"), F.count("*").alias("n"))
+    out = common.joined_hot(rows, table, "k", rows.count()).collect()
+    want = [(k, i, 10 ** (k % 2 + 1) - 1) for k in range(5) for i in range(10 ** (k % 2 + 1))] + [(9, 9, -1)]
+    assert sorted((r["k"], r["i"], -1 if r["top"] is None else r["top"]) for r in out) == want
