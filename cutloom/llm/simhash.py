@@ -3,17 +3,21 @@
 ``fingerprints`` gives each document 64 bits; ``near_pairs`` links distinct
 fingerprints exactly; ``components`` joins links into groups.
 
-How pairs are found.  Two fingerprints at distance 4 or less are at distance 2
-or less in one of their halves, so each half is searched with half the radius,
-where the triangle inequality prunes far more.  For each half a vantage-point
-tree is grown on a sample of at most ``SAMPLE`` distinct fingerprints, down to
-shards of about ``SHARD`` members; every fingerprint goes down both trees, by
-its Hamming distance to the vantage points, into the one shard that is its home
-and, as a visitor, into each shard whose boundary lies within the radius.  A
-shard grows its own tree over its members and sends all visitors down it; a
-branch is visited only where the triangle bound lets it hold a partner, and
-leaves compare whole fingerprints.  A pair is met in the home shard of either
-end, so none is lost.  Shards report spanning forests of their links, which keep
+How pairs are found.  Two fingerprints at distance 4 or less differ in at most
+one bit of their first quarter or agree in one of the three others (else they
+would differ in 2 + 1 + 1 + 1 bits), so each quarter is searched with its own
+small radius, where the triangle inequality prunes far more.  For each quarter a
+vantage-point tree is grown on a sample of at most ``SAMPLE`` distinct
+fingerprints, down to shards of about ``SHARD`` members; every fingerprint goes
+down all trees, by its Hamming distance to the vantage points, into the one
+shard that is its home and, as a visitor, into each shard whose boundary lies
+within the tree's radius.  In the first quarter's tree those are the homes of
+the 17 values within a bit of its own, so 17 at most however many shards there
+are, and in the others none, until values repeat and whole fingerprints are cut:
+rows grow with the fingerprints, not with a power of them.  A shard grows its
+own tree over its members and sends all visitors down it; a branch is visited
+only where the triangle bound lets it hold a partner, and leaves compare whole
+fingerprints.  A pair is met in the home shard of either end, so none is lost.  Shards report spanning forests of their links, which keep
 connectivity; so a group of thousands of near copies yields links in proportion
 to its members.
 
@@ -85,7 +89,8 @@ def fingerprints(docs: DataFrame, size: int = 5, id_col: str = "doc_id", text_co
 
 #: Distinct fingerprints that the routing trees are grown on, members of a shard, members of a leaf, visitors held at once.
 SAMPLE, SHARD, LEAF, VISITORS = 1 << 16, 1 << 15, 64, 1 << 20
-_HALF = np.uint64(0xFFFFFFFF)
+#: Parts of a fingerprint that have a tree of their own, and their bits.
+PARTS, PART_BITS = 4, 16
 
 
 class Forest:
@@ -124,9 +129,9 @@ class Node:
     shard: int = -1
 
 
-def measures(fps: np.ndarray, half: int) -> tuple[np.ndarray, np.ndarray]:
-    """The half that a tree searches, and the whole fingerprint for sets that agree in it."""
-    return (fps >> np.uint64(32) if half else fps & _HALF), fps
+def measures(fps: np.ndarray, part: int) -> tuple[np.ndarray, np.ndarray]:
+    """The part that a tree searches, and the whole fingerprint for sets that agree in it."""
+    return (fps >> np.uint64(PART_BITS * part)) & np.uint64((1 << PART_BITS) - 1), fps
 
 
 def distance(values: np.ndarray, vantage: np.uint64) -> np.ndarray:
@@ -149,9 +154,9 @@ def split(values: tuple[np.ndarray, np.ndarray], own: np.ndarray) -> tuple[int,
     return best
 
 
-def grown(fps: np.ndarray, half: int, members: float) -> tuple[Node, int]:
+def grown(fps: np.ndarray, part: int, members: float) -> tuple[Node, int]:
     """A routing tree over a sample, cut until a leaf has at most ``members`` of it; and the number of leaves."""
-    values, shards = measures(fps, half), 0
+    values, shards = measures(fps, part), 0
     root = Node()
     work = [(root, np.arange(len(fps)))]
     while work:
@@ -166,32 +171,48 @@ def grown(fps: np.ndarray, half: int, members: float) -> tuple[Node, int]:
     return root, shards
 
 
-def reach(measure: int, radius: int) -> int:
-    """How far apart in a measure two fingerprints can be that this half must find."""
-    return radius if measure else radius // 2
+def reach(measure: int, radius: int, part: int) -> int:
+    """How far apart in a measure two fingerprints can be that this part must find; -1: none are left to it.
 
+    Beyond its reach in every part a pair would differ in radius + 1 bits.
+    """
+    return radius if measure else (radius + PARTS - part) // PARTS - 1
+
+
+def searched(radius: int) -> list[int]:
+    return [part for part in range(PARTS) if reach(0, radius, part) >= 0]
 
-def route(fps: np.ndarray, half: int, root: Node, radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(shard, positions, whether it is their home) of all shards."""
-    values = measures(fps, half)
-    work = [(root, np.arange(len(fps)), np.ones(len(fps), bool))]
+
+def route(fps: np.ndarray, part: int, root: Node, radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(shard, positions, whether it is their home) of all shards.
+
+    What reaches beyond its own value goes down with each value one bit away,
+    which leaves a bit less to the overlap of the boundaries; so it comes only
+    where such a value could be at home, not wherever single boundaries allow.
+    """
+    values, wide = measures(fps, part), reach(0, radius, part)
+    steps = np.concatenate(([0], 1 << np.arange(PART_BITS))).astype(np.uint64)[: PART_BITS + 1 if wide else 1]
+    slack = max(wide - 1, 0)
+    aims = (values[0][:, None] ^ steps).ravel()
+    work = [(root, np.repeat(np.arange(len(fps)), len(steps)), aims, np.tile(steps == 0, len(fps)))]
     while work:
-        node, some, home = work.pop()
+        node, some, aims, home = work.pop()
         if node.shard >= 0:
-            yield node.shard, some, home
+            first = np.flatnonzero(np.diff(some, prepend=-1))  # aims of one fingerprint lie together
+            yield node.shard, some[first], np.logical_or.reduceat(home, first)
             continue
-        d, r = distance(values[node.measure][some], node.vantage), reach(node.measure, radius)
+        d, r = (distance(fps[some], node.vantage), radius) if node.measure else (distance(aims, node.vantage), slack)
         for child, near, own in ((node.inner, d <= node.middle + r, d <= node.middle), (node.outer, d > node.middle - r, d > node.middle)):
             if near.any():
-                work.append((child, some[near], home[near] & own[near]))
+                work.append((child, some[near], aims[near], home[near] & own[near]))
 
 
-def tree_links(fps: np.ndarray, half: int, own: np.ndarray, visitors: np.ndarray, radius: int, forest: Forest, leaf: int = LEAF) -> dict[str, int]:
-    """Link each position of ``own`` with those of ``visitors`` within the radius, so far as this half must find them.
+def tree_links(fps: np.ndarray, part: int, own: np.ndarray, visitors: np.ndarray, radius: int, forest: Forest, leaf: int = LEAF) -> dict[str, int]:
+    """Link each position of ``own`` with those of ``visitors`` within the radius, so far as this part must find them.
 
     Returns how many leaves were reached and how many pairs were compared there.
     """
-    values, did = measures(fps, half), {"leaves": 0, "compared": 0}
+    values, did = measures(fps, part), {"leaves": 0, "compared": 0}
     work = [(own, visitors)]
     while work:
         own, visitors = work.pop()
@@ -201,12 +222,12 @@ def tree_links(fps: np.ndarray, half: int, own: np.ndarray, visitors: np.ndarray
             did["leaves"] += 1
             did["compared"] += len(own) * len(visitors)
             for at in range(0, len(visitors), 1 << 15):
-                part = visitors[at: at + (1 << 15)]
-                i, j = np.nonzero(np.bitwise_count(fps[own][:, None] ^ fps[part][None, :]) <= radius)
-                forest.link(own[i], part[j])
+                some = visitors[at: at + (1 << 15)]
+                i, j = np.nonzero(np.bitwise_count(fps[own][:, None] ^ fps[some][None, :]) <= radius)
+                forest.link(own[i], some[j])
             continue
         k, vantage, middle = split(values, own)
-        r = reach(k, radius)
+        r = reach(k, radius, part)
         inside, d = distance(values[k][own], vantage) <= middle, distance(values[k][visitors], vantage)
         if inside.all() or not inside.any():  # equal fingerprints alone: cut by position, which loses nothing
             work += [(own[: len(own) // 2], visitors), (own[len(own) // 2:], visitors)]
@@ -217,10 +238,10 @@ def tree_links(fps: np.ndarray, half: int, own: np.ndarray, visitors: np.ndarray
 
 def _shard_links(radius: int, leaf: int, most: int):
     """mapInArrow over (shard, guest, fp, id) sorted by shard and guest: members come first, then visitors a chunk at a time."""
-    def met(half: int, members: np.ndarray, guests: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def met(part: int, members: np.ndarray, guests: np.ndarray) -> Iterator[pa.RecordBatch]:
         rows = np.concatenate([members, guests], axis=1)
         forest = Forest(rows.shape[1])
-        tree_links(rows[0].view(np.uint64), half, np.arange(members.shape[1]), np.arange(rows.shape[1]) if guests.shape[1] == 0 else np.arange(members.shape[1], rows.shape[1]), radius, forest, leaf)
+        tree_links(rows[0].view(np.uint64), part, np.arange(members.shape[1]), np.arange(rows.shape[1]) if guests.shape[1] == 0 else np.arange(members.shape[1], rows.shape[1]), radius, forest, leaf)
         if forest.links:
             ends = rows[1][np.array(forest.links)]
             yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(ends[:, i])) for i in (0, 1)], ["a", "b"])
@@ -233,9 +254,9 @@ def _shard_links(radius: int, leaf: int, most: int):
             nonlocal members, guests, closed
             if members.shape[1] and (closed or last):
                 if not closed:
-                    yield from met(shard & 1, members, none)
+                    yield from met(shard % PARTS, members, none)
                 if guests.shape[1]:
-                    yield from met(shard & 1, members, guests)
+                    yield from met(shard % PARTS, members, guests)
 
         for batch in batches:
             rows = np.stack([np.asarray(batch.column(i)).astype(np.int64) for i in range(4)])
@@ -248,7 +269,7 @@ def _shard_links(radius: int, leaf: int, most: int):
                     members = np.concatenate([members, rows[2:, a:b]], axis=1)
                     continue
                 if not closed:
-                    yield from met(shard & 1, members, none)
+                    yield from met(shard % PARTS, members, none)
                     closed = True
                 guests = np.concatenate([guests, rows[2:, a:b]], axis=1)
                 if guests.shape[1] >= most:
@@ -269,14 +290,14 @@ def near_pairs(distinct: DataFrame, radius: int = 4, shard: int = SHARD, leaf: i
     share = min(1.0, sample / max(n, 1))
     rows = distinct.select("fp").where(F.pmod(F.xxhash64("fp"), F.lit(1 << 20)) < int(share * (1 << 20)) + 1).collect()
     taken = np.sort(np.array([r["fp"] for r in rows], np.int64)).view(np.uint64)
-    trees = [grown(taken, half, max(shard * len(taken) / max(n, 1), 8 if share < 1 else 1)) for half in (0, 1)]
+    trees = [(part, grown(taken, part, max(shard * len(taken) / max(n, 1), 8 if share < 1 else 1))[0]) for part in searched(radius)]
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fps, ids = np.asarray(batch.column("fp"), np.int64).view(np.uint64), batch.column("id")
-            for half, (root, _) in enumerate(trees):
-                for number, some, home in route(fps, half, root, radius):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), 2 * number + half)), pa.array((~home).astype(np.int64)), pa.array(fps[some].view(np.int64)), ids.take(pa.array(some))], ["shard", "guest", "fp", "id"])
+            for part, root in trees:
+                for number, some, home in route(fps, part, root, radius):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), PARTS * number + part)), pa.array((~home).astype(np.int64)), pa.array(fps[some].view(np.int64)), ids.take(pa.array(some))], ["shard", "guest", "fp", "id"])
 
     placed = distinct.select("fp", "id").mapInArrow(place, "shard long, guest long, fp long, id long")
     return placed.repartition(shuffle_partitions(distinct.sparkSession), "shard").sortWithinPartitions("shard", "guest").mapInArrow(_shard_links(radius, leaf, most), "a long, b long")
