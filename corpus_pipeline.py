@@ -23,8 +23,10 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays, that with the smallest id.
 
-    Links are pairs whose sets of five-word shingles have a similarity of 0.8 or
-    more; 4 bits of a SimHash would miss most of them.
+    Candidates are documents whose SimHash fingerprints differ in at most 4 bits,
+    and those that share a MinHash band, since 4 bits miss most pairs of a
+    similarity of 0.8.  Links are the candidates' pairs whose sets of five-word
+    shingles have a similarity of 0.8 or more.
     """
     return near_copies.deduplicated(docs, size=5)
 

@@ -1,9 +1,11 @@
-"""Near copies by exact shingle similarity, found through MinHash bands.
-
-How groups are found.  Documents of equal shingle sets are one class.  A class
-has ``BANDS`` keys, each made of ``ROWS`` minima of linear permutations of its
-shingles; classes that share a key are candidates, and the candidates'
-components are groups that hold every link found.  Each map task first joins
+"""Near copies by SimHash and exact shingle similarity; MinHash bands widen the candidates.
+
+How groups are found.  Documents of equal shingle sets are one class.  Classes
+whose SimHash fingerprints differ in at most ``RADIUS`` bits are candidates,
+found by op4's vantage-point trees.  Of pairs of a similarity of 0.8 most differ
+in more bits, so a class also has ``BANDS`` keys, each made of ``ROWS`` minima of
+linear permutations of its shingles, and classes that share a key are candidates
+too.  The components of all candidates are groups that hold every link found.  Each map task first joins
 the classes of a key that it holds itself, so a key of a third of all classes
 is shuffled as a few rows for each task.
 
@@ -26,6 +28,7 @@ other; repeated rows are one class; rows with a null id have no component.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -34,8 +37,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from cutloom.llm.common import gathered, joined_hot, mix, reliable, shuffle_partitions, text_bytes
-from cutloom.llm.simhash import _lower_ascii, components, one_of_each, shingle_hashes
+from cutloom.llm.simhash import _lower_ascii, components, near_pairs, one_of_each, shingle_hashes, simhash
 
+#: Bits in which fingerprints of candidates differ at most; MinHash bands and the minima of each.
+RADIUS = 4
 BANDS, ROWS = 40, 7
 #: Similarity as a fraction.
 LEAST = (4, 5)
@@ -73,14 +78,29 @@ def band_keys(hashes: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, size: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, cls, keys, size) for each row; cls names the shingle set by 128 bits."""
+    """(id, cls, fp, keys, size) for each row; cls names the shingle set by 128 bits, fp is its SimHash."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in gathered(batches, 4 << 20):
             sets = list(shingle_sets(rows.column("text"), size))
             cls = pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
-            yield pa.RecordBatch.from_arrays([rows.column("id").combine_chunks(), cls, pa.array([band_keys(s) for s in sets], pa.list_(pa.int64())), pa.array([len(s) for s in sets], pa.int64())], ["id", "cls", "keys", "size"])
+            fps = np.array([simhash(s) for s in sets], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([rows.column("id").combine_chunks(), cls, pa.array(fps), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64())), pa.array([len(s) for s in sets], pa.int64())], ["id", "cls", "fp", "keys", "size"])
+
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, cls binary, fp long, keys array<long>, size long")
+
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, cls binary, keys array<long>, size long")
+def fingerprint_links(classes: DataFrame) -> DataFrame:
+    """Links (a, b) of classes (first, fp, ..) whose closure is that of all pairs within RADIUS bits."""
+    prints = reliable(classes.groupBy("fp").agg(F.min("first").alias("id"), F.count(F.lit(1)).alias("n")))
+    equal = joined_hot(classes.select("fp", "first"), prints, "fp", classes.count()).where("first <> id")
+    return near_pairs(prints.select("fp", "id"), RADIUS).unionByName(equal.select(F.col("first").alias("a"), F.col("id").alias("b")))
+
+
+def band_links(classes: DataFrame) -> DataFrame:
+    """Links (a, b) of classes (first, keys, ..) that join all those of a key."""
+    shared = classes.select("first", "keys").mapInArrow(_local_stars, "key long, node long")
+    least = F.min("node").over(Window.partitionBy("key").orderBy("node").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    return shared.withColumn("low", least).select(F.col("node").alias("a"), F.col("low").alias("b"))
 
 
 def similar_links(nodes: list[int], sets: list[np.ndarray]) -> list[tuple[int, int]]:
@@ -243,13 +263,11 @@ def _large_links(members: DataFrame, texts: DataFrame, size: int, block: int, pi
     return first.unionByName(second)
 
 
-def near_copies(docs: DataFrame, size: int = 5, id_col: str = "doc_id", text_col: str = "text", group: int = GROUP, block: int = BLOCK, pivots: int = PIVOTS) -> DataFrame:
+def near_copies(docs: DataFrame, size: int = 5, id_col: str = "doc_id", text_col: str = "text", group: int = GROUP, block: int = BLOCK, pivots: int = PIVOTS, candidates=(fingerprint_links, band_links)) -> DataFrame:
     """(id, component) for each row; component is the smallest id reachable over pairs of similarity 0.8 or more."""
     marked = reliable(sketches(docs, size, id_col, text_col))
-    classes = marked.where("id is not null").groupBy("cls").agg(F.min(F.struct("id", "keys", "size")).alias("m"), F.count(F.lit(1)).alias("n")).select("cls", F.col("m.id").alias("first"), F.col("m.keys").alias("keys"), F.col("m.size").alias("size"), "n")
-    shared = classes.select("first", "keys").mapInArrow(_local_stars, "key long, node long")
-    least = F.min("node").over(Window.partitionBy("key").orderBy("node").rowsBetween(Window.unboundedPreceding, Window.currentRow))
-    groups = components(shared.withColumn("low", least).select(F.col("node").alias("a"), F.col("low").alias("b")))
+    classes = marked.where("id is not null").groupBy("cls").agg(F.min(F.struct("id", "fp", "keys", "size")).alias("m"), F.count(F.lit(1)).alias("n")).select("cls", F.col("m.id").alias("first"), "m.fp", "m.keys", "m.size", "n")
+    groups = components(reduce(DataFrame.unionByName, [links(classes) for links in candidates]))
     members = groups.unionByName(groups.select(F.col("root").alias("node"), "root").distinct())
     members = reliable(members.join(classes.select(F.col("first").alias("node"), "size").groupBy("node").agg(F.max("size").alias("size")), "node"))
     totals = members.groupBy("root").agg(F.sum("size").alias("total"), F.count(F.lit(1)).alias("n"))

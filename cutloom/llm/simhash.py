@@ -310,6 +310,10 @@ def _with_least(edges: DataFrame, total: int) -> DataFrame:
     return joined_hot(edges, edges.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "u", total)
 
 
+#: Links that a piece holds: few links lie in few pieces, so that a round of them leaves few files.
+PIECE = 1 << 14
+
+
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """(node, root): the smallest node reachable, for the nodes of ``links`` (a, b).
 
@@ -318,12 +322,16 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     logarithm of the size.  Only a change count reaches the driver.
     """
     edges = reliable(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
+    total = edges.count()
     for _ in range(most_rounds):
-        total = 2 * edges.count()
+        gathered_in = lambda rows, k=1 + 2 * total // PIECE: rows.coalesce(k)
+        edges = gathered_in(edges)
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = _with_least(both, total).where("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).where("u <> v").distinct()
-        small = _with_least(large, total).select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u <> v").distinct()
-        edges = reliable(small)
+        large = gathered_in(_with_least(both, 2 * total)).where("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).where("u <> v").distinct()
+        large = reliable(gathered_in(large))
+        small = gathered_in(_with_least(large, 2 * total)).select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u <> v").distinct()
+        edges = reliable(gathered_in(small))
+        total = edges.count()
         # settled: every node has one parent and no parent has a parent
         state = edges.groupBy("u").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("n")).first()
         parents, children = edges.select("v").distinct(), edges.select("u").distinct()
