@@ -27,10 +27,15 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 
 def activity_pairs(left: DataFrame, right: DataFrame, seconds: int = 60) -> DataFrame:
-    """Stream-stream interval join: (src, dst, ts) of users with events of one type at most so many seconds apart."""
-    a = left.select("event_type", F.col("user_id").alias("ua"), F.col("ts").alias("ta"))
-    b = right.select(F.col("event_type").alias("kind"), F.col("user_id").alias("ub"), F.col("ts").alias("tb"))
-    near = a.join(b, (F.col("event_type") == F.col("kind")) & (F.col("tb") > F.col("ta")) & (F.col("tb") <= F.col("ta") + F.expr(f"interval {seconds} seconds")) & (F.col("ua") != F.col("ub")))
+    """Stream-stream interval join: (src, dst, ts) of users with events of one type at most so many seconds apart.
+
+    Time is cut into buckets of that length, and an event meets its own bucket
+    and the next alone, so state is looked up by type and bucket.
+    """
+    bucket = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / (seconds * 1_000_000))
+    a = left.select("event_type", F.col("user_id").alias("ua"), F.col("ts").alias("ta"), F.explode(F.array(bucket, bucket + 1)).alias("slot"))
+    b = right.select(F.col("event_type").alias("kind"), F.col("user_id").alias("ub"), F.col("ts").alias("tb"), bucket.alias("bucket"))
+    near = a.join(b, (F.col("event_type") == F.col("kind")) & (F.col("slot") == F.col("bucket")) & (F.col("tb") > F.col("ta")) & (F.col("tb") <= F.col("ta") + F.expr(f"interval {seconds} seconds")) & (F.col("ua") != F.col("ub")))
     return near.select(F.least("ua", "ub").alias("src"), F.greatest("ua", "ub").alias("dst"), F.col("tb").alias("ts"))
 
 
