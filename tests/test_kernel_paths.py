@@ -8,6 +8,7 @@ import pytest
 from cutloom.operators import decompose, kernel
 from cutloom.operators.graph import Graph
 from cutloom.patterns import automorphisms, cycle
+from cutloom.queries import QUERIES
 
 LEFT, RIGHT = range(1, 15), range(101, 108)
 TIES = sorted((a, b) for a in LEFT for b in RIGHT if random.Random(a * 1000 + b).random() < 0.5)
@@ -46,9 +47,16 @@ def test_tables_of_paths_and_squares(monkeypatch, edges, rows):
         assert list(got) == sorted(got)
 
 
-def test_cycles_of_a_graph_with_two_sides(spark):
-    """cycle6_bip: paths between the sides are followed from one of them."""
+def test_cycles_of_a_graph_with_two_sides(spark, monkeypatch):
+    """cycle5_bip, cycle6_bip: no term has an odd cycle, and paths between the sides are followed from one of them."""
     g = Graph(spark.createDataFrame(TIES, "src long, dst long"))
     assert g.two_sided() and not Graph(spark.createDataFrame(OTHERS, "src long, dst long")).two_sided()
     for k in (4, 6):
         assert decompose.pattern_count(g, cycle(k)) == brute(TIES, cycle(k)) > 0
+    monkeypatch.setattr(kernel, "counts", None)
+    assert decompose.pattern_count(g, cycle(5)) == 0
+
+
+def test_no_odd_cycle_is_looked_for(spark, monkeypatch):
+    monkeypatch.setattr(kernel, "counts", None)
+    assert [r["cnt"] for r in QUERIES["cycle5_bip"](spark, "/root/testdata/sf0.001").collect()] == [0]
