@@ -7,7 +7,8 @@ import pytest
 
 from cutloom.operators import decompose, kernel, pieces
 from cutloom.operators.graph import Graph
-from cutloom.patterns import clique, connected_patterns
+from cutloom.patterns import Pattern, clique, connected_patterns, pseudo_cliques
+from cutloom.patterns.algebra import canonical_code
 
 
 @pytest.mark.parametrize("block, marks", [(1 << 22, 1 << 25), (9, 70)])
@@ -26,3 +27,22 @@ def test_triangles_in_pieces(spark, monkeypatch, block, marks):
     assert decompose.clique_count(g, clique(3)).first()["cnt"] == closed // 3
     got = {r["m"]: r["cnt"] for r in decompose.pattern_counts(g, list(connected_patterns(3)), "vertex").collect()}
     assert got == {3: closed // 3, 2: every - closed}
+
+
+@pytest.mark.parametrize("n, share, small", [(4, 0.4, False), (5, 0.5, True), (6, 0.75, True), (7, 0.85, True), (8, 0.9, False)])
+def test_pseudo_cliques_in_pieces(spark, monkeypatch, n, share, small):
+    """pseudoclique_7, pseudoclique_8: cliques from each lowest vertex's own triangles, no rows of cliques or of their cuts."""
+    draw = random.Random(n)
+    edges = [(a * 5 - 20, b * 5 - 20) for a, b in combinations(range(13), 2) if draw.random() < share] + [(70, v) for v in (-20, -15, 0)]
+    monkeypatch.setattr(kernel, "MOST_ARCS", 10)
+    monkeypatch.setattr(decompose, "clique_rows", lambda *a: pytest.fail("rows of cliques"))
+    if small:
+        for name, value in (("BLOCK", 20), ("TOGETHER", 2), ("MARKS", 40), ("ROWS", 5), ("GROWN", 4), ("DEALT", 7), ("GROUP", 9)):
+            monkeypatch.setattr(pieces, name, value)
+    tied, want = {frozenset(e) for e in edges}, {canonical_code(p): 0 for p in pseudo_cliques(n)}
+    for s in combinations(sorted({v for e in edges for v in e}), n):
+        ties = {(i, j) for i, j in combinations(range(n), 2) if frozenset((s[i], s[j])) in tied}
+        if len(ties) >= n * (n - 1) // 2 - 1:
+            want[canonical_code(Pattern.of(n, ties))] += 1
+    got = {r["pattern"]: r["cnt"] for r in decompose.pseudo_clique_counts(Graph(spark.createDataFrame(edges, "src long, dst long")), n).collect()}
+    assert got == {p.name: want[canonical_code(p)] for p in pseudo_cliques(n)} and max(got.values()) > 0
