@@ -9,6 +9,7 @@ from cutloom.operators import decompose, kernel, pieces
 from cutloom.operators.graph import Graph
 from cutloom.patterns import Pattern, clique, connected_patterns, pseudo_cliques
 from cutloom.patterns.algebra import canonical_code
+from cutloom.queries import QUERIES
 
 
 @pytest.mark.parametrize("block, marks", [(1 << 22, 1 << 25), (9, 70)])
@@ -46,3 +47,11 @@ def test_pseudo_cliques_in_pieces(spark, monkeypatch, n, share, small):
             want[canonical_code(Pattern.of(n, ties))] += 1
     got = {r["pattern"]: r["cnt"] for r in decompose.pseudo_clique_counts(Graph(spark.createDataFrame(edges, "src long, dst long")), n).collect()}
     assert got == {p.name: want[canonical_code(p)] for p in pseudo_cliques(n)} and max(got.values()) > 0
+
+
+def test_query_in_pieces(spark, monkeypatch):
+    """pseudoclique_8"""
+    want = QUERIES["pseudoclique_8"](spark, "/root/testdata/sf0.001").collect()
+    monkeypatch.setattr(kernel, "MOST_ARCS", 10)
+    monkeypatch.setattr(decompose, "clique_rows", lambda *a: pytest.fail("rows of cliques"))
+    assert QUERIES["pseudoclique_8"](spark, "/root/testdata/sf0.001").collect() == want
